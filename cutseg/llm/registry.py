@@ -5,11 +5,13 @@ from __future__ import annotations
 from cutseg.llm.hash_tree import op4_hash_tree
 from cutseg.llm.media_columns import op6_media_jpeg
 from cutseg.llm.ngram_join import op3_ngram_jaccard
+from cutseg.llm.packing import op5_pack_ga
 from cutseg.llm.url_filter import op10_sql, op10_url_filter
 
 QUERIES = {
     "op3_ngram_jaccard": op3_ngram_jaccard,
     "op4_hash_tree": op4_hash_tree,
+    "op5_pack_ga": op5_pack_ga,
     "op6_media_jpeg": op6_media_jpeg,
     "op10_url_filter": op10_url_filter,
 }
