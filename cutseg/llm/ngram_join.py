@@ -202,12 +202,6 @@ class NgramJoin:
         counts.unpersist()
 
         near = ws.table(self._neighbours().union(self._with_leaders()).distinct(), "pairs-0")
-        wanted = self.postings.select("rep").union(near.select("a")).union(near.select("b")).distinct()
-        bits = sc.broadcast(collect_sums(wanted.mapInArrow(_bitmap, "block int, counts binary"), BUCKETS) > 0)
-        self.sets = ws.table(self.docs.where("doc_id is not null").mapInArrow(_sets(self.words, bits), "id long, set binary")
-                             .join(self.classes.select(F.col("rep").alias("id")), "id", "left_semi").distinct(), "sets")
-        bits.unpersist()
-
         if self.all_links:
             self.links = self._verified(ws.table(self._candidates(None), "pairs"), "links")
             self.component = connected_components(self.links, ws)
@@ -273,11 +267,20 @@ class NgramJoin:
         right = pairs.groupBy("b", "ca").agg(best).select("p.a", "p.b")
         return left.union(right).distinct()
 
+    def _sets_of(self, pairs: DataFrame, name: str) -> DataFrame:
+        """Shingle sets of the documents in ``pairs`` and of a few more that
+        share a bit with them; texts are scanned again but never shuffled."""
+        ends = pairs.select("a").union(pairs.select("b"))
+        bits = self.spark.sparkContext.broadcast(collect_sums(ends.mapInArrow(_bitmap, "block int, counts binary"), BUCKETS) > 0)
+        return self.ws.table(self.docs.where("doc_id is not null").mapInArrow(_sets(self.words, bits), "id long, set binary"), name)
+
     def _verified(self, pairs: DataFrame, name: str) -> DataFrame:
-        s = self.sets
+        s = self._sets_of(pairs, f"sets-{name}")
         rows = (pairs.join(s.select(F.col("id").alias("a"), F.col("set").alias("sa")), "a")
                 .join(s.select(F.col("id").alias("b"), F.col("set").alias("sb")), "b").select("a", "b", "sa", "sb"))
-        return self.ws.table(rows.mapInArrow(_verify(self.limit), "a long, b long").distinct(), name)
+        links = self.ws.table(rows.mapInArrow(_verify(self.limit), "a long, b long").distinct(), name)
+        self.ws.drop(f"sets-{name}")
+        return links
 
     def documents(self) -> DataFrame:
         """``doc_id, n_shingles, component_id``: one row per input row."""
