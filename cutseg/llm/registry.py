@@ -6,6 +6,7 @@ from cutseg.llm.hash_tree import op4_hash_tree
 from cutseg.llm.media_columns import op6_media_jpeg
 from cutseg.llm.ngram_join import op3_ngram_jaccard
 from cutseg.llm.packing import op5_pack_ga
+from cutseg.llm.toxicity import op9_toxicity_cnn
 from cutseg.llm.url_filter import op10_sql, op10_url_filter
 
 QUERIES = {
@@ -13,6 +14,7 @@ QUERIES = {
     "op4_hash_tree": op4_hash_tree,
     "op5_pack_ga": op5_pack_ga,
     "op6_media_jpeg": op6_media_jpeg,
+    "op9_toxicity_cnn": op9_toxicity_cnn,
     "op10_url_filter": op10_url_filter,
 }
 ORACLE_SQL = {
