@@ -4,12 +4,16 @@ from __future__ import annotations
 
 from cutseg.llm.hash_tree import op4_hash_tree
 from cutseg.llm.media_columns import op6_media_jpeg
+from cutseg.llm.mixing import op1_mixing
 from cutseg.llm.ngram_join import op3_ngram_jaccard
 from cutseg.llm.packing import op5_pack_ga
+from cutseg.llm.pivot_index import OP2_SQL, op2_pivot_permutation
 from cutseg.llm.toxicity import op9_toxicity_cnn
 from cutseg.llm.url_filter import op10_sql, op10_url_filter
 
 QUERIES = {
+    "op1_mixing": op1_mixing,
+    "op2_pivot_permutation": op2_pivot_permutation,
     "op3_ngram_jaccard": op3_ngram_jaccard,
     "op4_hash_tree": op4_hash_tree,
     "op5_pack_ga": op5_pack_ga,
@@ -18,5 +22,6 @@ QUERIES = {
     "op10_url_filter": op10_url_filter,
 }
 ORACLE_SQL = {
+    "op2_pivot_permutation": OP2_SQL,
     "op10_url_filter": op10_sql(),
 }
