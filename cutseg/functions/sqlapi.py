@@ -41,13 +41,16 @@ def register(spark: SparkSession, model: NgramModel, cfg: SegmentConfig) -> None
     spark.udtf.register("segment_words", SegmentWords)
 
 
-@pandas_udf("double")
-def entropy_udaf(cnt: pd.Series) -> float:
-    """Entropy in nats of a column of counts."""
+def entropy_udaf(cnt: str):
+    """Entropy in nats of a column of counts, as a grouped-aggregate function."""
     import numpy as np
-    p = cnt.to_numpy(float)
-    p = p[p > 0] / p.sum()
-    return float(-(p * np.log(p)).sum())
+
+    @pandas_udf("double")
+    def entropy(v: pd.Series) -> float:
+        p = v.to_numpy(float)
+        p = p[p > 0] / p.sum()
+        return float(-(p * np.log(p)).sum())
+    return entropy(cnt)
 
 
 def entropy_builtin(cnt: str):
