@@ -170,7 +170,7 @@ def split_sentences(rows: list[tuple[str, np.ndarray, np.ndarray]], cfg: Segment
         for i in range(0, len(members), step):
             chunk = members[i:i + step]
             adj = np.array([rows[r][1][a:a + n - 1] for r, a in chunk]).reshape(len(chunk), n - 1)
-            skip = np.array([rows[r][2][a:a + n - 2] for r, a in chunk]).reshape(len(chunk), max(0, n - 2))
+            skip = np.array([rows[r][2][a:a + max(0, n - 2)] for r, a in chunk]).reshape(len(chunk), max(0, n - 2))
             spectra = np.linalg.eigh(K.laplacians(adj, skip, cfg.form, cfg.self_loop)) if n > 1 else None
             for j, (r, a) in enumerate(chunk):
                 # the seed depends on the sentence alone, so no result depends on partitions

@@ -200,8 +200,8 @@ def _exact(x, how: str, objective: str = "ratio", k: int = 2) -> DataFrame:
         return bands.select("sent_id", "adj", "skip").mapInPandas(run, "sent_id string, value double")
     # every mask with k - 1 boundaries, names have at most 12 symbols
     n1 = F.col("n").cast("int") - 1
-    masks = bands.withColumn("mask", F.explode(F.sequence(F.lit(0), F.shiftleft(F.lit(1), n1) - 1))).where(F.bit_count("mask") == k - 1)
-    labels = F.transform(F.sequence(F.lit(0), n1), lambda i: F.bit_count(F.col("mask").bitwiseAND(F.shiftleft(F.lit(1), i) - 1)).cast("int"))
+    masks = bands.withColumn("mask", F.explode(F.sequence(F.lit(0), F.call_function("shiftleft", F.lit(1), n1) - 1))).where(F.bit_count("mask") == k - 1)
+    labels = F.transform(F.sequence(F.lit(0), n1), lambda i: F.bit_count(F.col("mask").bitwiseAND(F.call_function("shiftleft", F.lit(1), i) - 1)).cast("int"))
     keyed = masks.withColumn("labels", labels).withColumn("name", F.col("sent_id")).withColumn("sent_id", F.concat_ws("#", "sent_id", "mask"))
     return M.cut_objective(keyed, objective).groupBy(F.split("sent_id", "#")[0].alias("sent_id")).agg(r6(F.min("value"), "value"))
 
