@@ -42,6 +42,8 @@ def budgets(supply: Mapping[tuple[str, ...], int], weights: Weights, total: int)
     They sum to ``total``, or to the whole supply if that is less (nodes of
     weight 0 take nothing, so it can be less still).
     """
+    if not supply:
+        return {}
     tree: dict = {}
     for path in supply:
         node = tree
