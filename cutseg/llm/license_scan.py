@@ -14,6 +14,8 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from cutseg.llm.words import small_batches
+
 _WORD = re.compile(r"\w+")
 
 #: Notices and grants by SPDX identifier; the first of equal coverage wins.
@@ -128,6 +130,7 @@ def scan_licenses(docs: DataFrame, scanner: Scanner | None = None, id_col: str =
     texts, and those without any template word, have coverage 0 and null
     places.  Nothing is shuffled.
     """
+    small_batches(docs.sparkSession)
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text"))
     return rows.mapInArrow(_scan(scanner or Scanner()), _FOUND)
 

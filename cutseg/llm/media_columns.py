@@ -12,6 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from cutseg.llm import jpeg
+from cutseg.llm.words import small_batches
 
 #: Payload bytes that are coded and decoded together; bounds a worker's memory.
 CHUNK = 1 << 20
@@ -106,6 +107,7 @@ def store_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
 
     A null text is stored as an empty one: a unit of 255s.
     """
+    small_batches(docs.sparkSession)
     return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text")).mapInArrow(_store, _MEDIA)
 
 
@@ -136,6 +138,7 @@ def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     One row per input row; equal texts have equal values, a null text those of
     an empty one.
     """
+    small_batches(docs.sparkSession)
     return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text")).mapInArrow(_digest, _DIGESTS)
 
 

@@ -32,7 +32,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, Window as W, functions as F
 
-from cutseg.llm.words import U64, WordHashes, finish, shingle_set
+from cutseg.llm.words import U64, WordHashes, finish, shingle_set, small_batches
 from cutseg.operators.components import connected_components
 from cutseg.operators.dense import collect_sums, emit
 from cutseg.plans.workspace import Workspace
@@ -182,6 +182,7 @@ class NgramJoin:
         self.docs = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text"))
         self.words, self.limit, self.all_links = words, Threshold(num, den), all_links
         self.spark = docs.sparkSession
+        small_batches(self.spark)
         self.ws = Workspace(self.spark, "ngram-join")
         self._run()
 

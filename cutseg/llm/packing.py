@@ -23,6 +23,7 @@ from pyspark.sql import DataFrame, Window as W, functions as F
 
 from cutseg.llm import grouping_ga as ga
 from cutseg.llm.fast_bpe import encoder
+from cutseg.llm.words import BATCH_ROWS, small_batches
 from cutseg.plans.workspace import Workspace
 
 CAPACITY = 2048
@@ -42,8 +43,8 @@ def _cut(path: str, capacity: int, end_id: int, whole: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = encoder(path)
         for big in batches:
-            for at in range(0, big.num_rows, 2000):  # bounds the ids that are held
-                batch = big.slice(at, 2000)
+            for at in range(0, big.num_rows, BATCH_ROWS):  # bounds the ids that are held
+                batch = big.slice(at, BATCH_ROWS)
                 flat, ends = words.encode(batch.column(1))
                 # the end id behind each document
                 flat = np.insert(flat, ends, end_id).astype("<u4")
@@ -72,6 +73,7 @@ def cut_documents(docs: DataFrame, *, path: str | None = None, capacity: int = C
     A null or empty text is the end id alone; only documents longer than
     ``capacity`` are cut.  Repeated rows give repeated pieces.
     """
+    small_batches(docs.sparkSession)
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text"))
     return rows.mapInArrow(_cut(path or vocabulary_path(), capacity, end_id, with_ids), _IDS if with_ids else _PIECES)
 

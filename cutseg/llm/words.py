@@ -7,6 +7,17 @@ import numpy as np
 import xxhash
 
 U64 = np.uint64
+#: Rows of whole texts that go to a Python worker at once.
+BATCH_ROWS = 1000
+
+
+def small_batches(spark) -> None:
+    """Lower the session's Arrow batches to ``BATCH_ROWS`` where they are larger:
+    with whole texts the default of 10,000 rows takes too much of an executor."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= BATCH_ROWS:
+        spark.conf.set(key, BATCH_ROWS)
+
 _MULTIPLIER = U64(0x9E3779B97F4A7C15)
 
 
