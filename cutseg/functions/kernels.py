@@ -42,7 +42,7 @@ def gap_cut(values: np.ndarray) -> float:
     return float((v[k] + v[k + 1]) / 2)
 
 
-def kmeans(u: np.ndarray, k: int, init: str = "even", seed: int = 0, rounds: int = 100, starts: int = 10) -> np.ndarray:
+def kmeans(u: np.ndarray, k: int, init: str = "even", seed: int = 0, rounds: int = 100, starts: int = 3) -> np.ndarray:
     """Lloyd's algorithm; centres start at evenly spaced rows, or by
     distance-squared draws (best of some starts).  An empty cluster keeps its
     centre."""
@@ -61,13 +61,16 @@ def kmeans(u: np.ndarray, k: int, init: str = "even", seed: int = 0, rounds: int
             c = u[picked].copy()
         labels = None
         for _ in range(rounds):
-            near = ((u[:, None, :] - c[None]) ** 2).sum(2)
-            new = near.argmin(1)
+            # squared distances up to the rows' own squares, by one matrix product
+            new = ((c * c).sum(1) - 2 * (u @ c.T)).argmin(1)
             if labels is not None and (new == labels).all():
                 break
             labels = new
-            for j in np.unique(labels):
-                c[j] = u[labels == j].mean(0)
+            member = np.zeros((k, len(u)))
+            member[labels, np.arange(len(u))] = 1
+            size = member.sum(1)
+            filled = size > 0
+            c[filled] = (member @ u)[filled] / size[filled, None]
         inertia = ((u - c[labels]) ** 2).sum()
         if inertia < least - 1e-15:
             best, least = labels, inertia

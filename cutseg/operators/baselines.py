@@ -87,7 +87,8 @@ def _by_words(sents: DataFrame, words: DataFrame, split_one) -> DataFrame:
                 out.append(ready[lang](s))
             yield pd.DataFrame({"lang": f["lang"], "s": f["s"], "words": out})
 
-    done = sents.select("lang", "s").distinct().mapInPandas(run, "lang string, s string, words array<string>")
+    tasks = 2 * sents.sparkSession.sparkContext.defaultParallelism
+    done = sents.select("lang", "s").repartition(tasks, "lang", "s").distinct().mapInPandas(run, "lang string, s string, words array<string>")
     return sents.select("sent_id", "lang", "s").join(done, ["lang", "s"]).select("sent_id", "lang", "s", "words")
 
 

@@ -238,7 +238,9 @@ def segment(sents: DataFrame, model: NgramModel, cfg: SegmentConfig, *, sets: Da
     if strategy is None:
         rows = model.tri.limit(BROADCAST_ROWS + 1).count() + (words.limit(BROADCAST_ROWS + 1).count() if words is not None else 0)
         strategy = "broadcast" if rows <= BROADCAST_ROWS else "join"
-    distinct = sents.select("lang", "s").where("s is not null and s <> ''").distinct()
+    # the kernel is bound by CPU: a fixed number of tasks, which a small byte size does not merge
+    tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 2 * spark.sparkContext.defaultParallelism)
+    distinct = sents.select("lang", "s").where("s is not null and s <> ''").repartition(tasks, "lang", "s").distinct()
     if strategy == "broadcast":
         shared = spark.sparkContext.broadcast(_collected(model, cfg, sets, words, singles))
 
