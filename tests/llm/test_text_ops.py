@@ -193,9 +193,10 @@ def test_genetic_operators_keep_all_items():
 
 
 def test_genetic_search_beats_best_fit():
-    counts = {6: 3, 5: 3, 4: 3, 3: 6, 2: 3}  # 66 units; best fit decreasing is not always least
-    best = min(ga.bins_of(ga.evolve(counts, 11, [ga.best_fit({}, counts, 11)], random.Random(s), 8, 20)) for s in range(3))
-    assert best == ga.lower_bound(counts, 11) == 6
+    counts = {3: 3, 4: 2, 6: 2, 7: 1, 10: 3, 11: 2, 12: 1}
+    assert ga.bins_of(ga.best_fit({}, counts, 20)) == 6
+    best = min(ga.bins_of(ga.evolve(counts, 20, [ga.best_fit({}, counts, 20)], random.Random(s), 8, 20)) for s in range(3))
+    assert best == ga.lower_bound(counts, 20) == 5
 
 
 # --- JPEG ----------------------------------------------------------------------------
