@@ -295,3 +295,17 @@ class NgramJoin:
 def op3_ngram_jaccard(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return NgramJoin(docs, words=4, num=85, den=100).documents()
+
+
+#: All pairs that share a shingle; for the comparison at small scale only.
+OP3_SQL = """
+with recursive w as (select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+') as w from documents),
+s as (select distinct doc_id, unnest(case when len(w) = 0 then [] else list_transform(range(1, greatest(len(w) - 3, 1) + 1), lambda i: array_to_string(w[i:i + 3], ' ')) end) as g from w),
+n as (select doc_id, count(*) as n from s group by doc_id),
+shared as (select a.doc_id as a, b.doc_id as b, count(*) as common from s a join s b on a.g = b.g and a.doc_id < b.doc_id group by all),
+links as (select a, b from shared join n x on x.doc_id = a join n y on y.doc_id = b where 100 * common >= 85 * (x.n + y.n - common)),
+sym as (select a, b from links union all select b, a from links),
+reach(a, b) as (select a, b from sym union select r.a, l.b from reach r join sym l on r.b = l.a),
+least as (select a, min(b) as m from reach group by a)
+select d.doc_id, coalesce(n.n, 0)::bigint as n_shingles, least(d.doc_id, coalesce(l.m, d.doc_id)) as component_id
+from documents d left join n on n.doc_id = d.doc_id left join least l on l.a = d.doc_id"""

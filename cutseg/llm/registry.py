@@ -6,7 +6,7 @@ from cutseg.llm.hash_tree import op4_hash_tree
 from cutseg.llm.license_scan import op8_license_patience
 from cutseg.llm.media_columns import op6_media_jpeg
 from cutseg.llm.mixing import op1_mixing
-from cutseg.llm.ngram_join import op3_ngram_jaccard
+from cutseg.llm.ngram_join import OP3_SQL, op3_ngram_jaccard
 from cutseg.llm.packing import op5_pack_ga
 from cutseg.llm.pivot_index import OP2_SQL, op2_pivot_permutation
 from cutseg.llm.toxicity import op9_toxicity_cnn
@@ -27,6 +27,7 @@ QUERIES = {
 }
 ORACLE_SQL = {
     "op2_pivot_permutation": OP2_SQL,
+    "op3_ngram_jaccard": OP3_SQL,
     "op7_warc_revisits": OP7_SQL,
     "op10_url_filter": op10_sql(),
 }
