@@ -79,14 +79,11 @@ def host_and_path(url: Column) -> tuple[Column, Column]:
 def _trigram_sum(text: Column, shift: int, weights: Column) -> Column:
     codes = F.transform(F.split(F.concat(F.lit("^"), text, F.lit("$")), ""), F.ascii)
     codes = F.filter(codes, lambda c: c > 0)
-    n = F.size(codes)
-
-    def weight(i: Column) -> Column:
-        h = F.element_at(codes, i) * (STEP * STEP) + F.element_at(codes, i + 1) * STEP + F.element_at(codes, i + 2) + shift
-        return F.element_at(weights, (h % BUCKETS).cast("int") + 1)
-
-    places = F.when(n >= 3, F.sequence(F.lit(1), n - 2)).otherwise(F.array().cast("array<int>"))
-    return F.aggregate(places, F.lit(0).cast("long"), lambda acc, i: acc + weight(i))
+    n = F.greatest(F.size(codes) - 2, F.lit(0))
+    # three shifted copies: linear in the text, the code points are not computed again for each place
+    two = F.zip_with(F.slice(codes, 1, n), F.slice(codes, 2, n), lambda a, b: a * (STEP * STEP) + b * STEP + shift)
+    hashes = F.zip_with(two, F.slice(codes, 3, n), lambda ab, c: (ab + c) % BUCKETS)
+    return F.aggregate(hashes, F.lit(0).cast("long"), lambda acc, h: acc + F.element_at(weights, h.cast("int") + 1))
 
 
 def judge(pages: DataFrame, rules=RULES, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
