@@ -26,6 +26,10 @@ def context_entropy(tri: DataFrame) -> DataFrame:
     return tri.withColumn("p", p).groupBy("lang", "a", "b").agg(F.sum(-F.col("p") * F.log("p")).alias("h"))
 
 
+def _looked_up(table: str, s):
+    return F.transform(symbols(s), lambda c: F.coalesce(F.element_at(table, c), F.lit(0.0)))
+
+
 def entropy_segment(sents: DataFrame, bi: DataFrame, *, mode: str = "threshold", direction: str = "forward", theta: float = 2.5) -> DataFrame:
     """Boundary where the entropy is above theta, or rises (``mode='rise'``).
 
@@ -38,8 +42,11 @@ def entropy_segment(sents: DataFrame, bi: DataFrame, *, mode: str = "threshold",
         m = successor_entropy(bi, way).groupBy("lang").agg(F.map_from_entries(F.collect_list(F.struct("ch", "h"))).alias(f"h_{way}"))
         out = out.join(F.broadcast(m), "lang", "left")  # one row a language, one entry a symbol
         tests.append(way)
-    out = out.withColumn("y", symbols(F.col("s")))
-    h = lambda way, i: F.coalesce(F.element_at(f"h_{way}", F.get("y", i)), F.lit(0.0))
+    for way in tests:  # the entropy at each symbol, looked up once
+        out = out.withColumn(f"at_{way}", _looked_up(f"h_{way}", F.col("s")))
+    # a generator that gives one row: keeps the arrays from being computed again for each symbol
+    out = out.select("sent_id", "lang", "s", F.explode(F.array(F.struct(*[f"at_{way}" for way in tests]))).alias("at")).select("sent_id", "lang", "s", "at.*")
+    h = lambda way, i: F.coalesce(F.get(f"at_{way}", i), F.lit(0.0))
 
     def is_cut(i):
         hit = F.lit(False)
@@ -53,9 +60,9 @@ def entropy_segment(sents: DataFrame, bi: DataFrame, *, mode: str = "threshold",
 
 def threshold_segment(edges: DataFrame, sents: DataFrame, tau: float) -> DataFrame:
     """Boundary where the adjacent weight is below tau; no spectrum."""
-    cuts = edges.groupBy("sent_id").agg(F.array_sort(F.collect_list(F.when(F.col("w") < tau, F.col("i")))).alias("cuts"))
-    out = sents.select("sent_id", "lang", "s").join(cuts, "sent_id", "left").withColumn("cuts", F.coalesce("cuts", F.array().cast("array<int>")))
-    return out.withColumn("words", cut_words(F.col("s"), lambda i: F.array_contains("cuts", i))).select("sent_id", "lang", "s", "words")
+    flags = edges.groupBy("sent_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", (F.col("w") < tau).alias("cut")))), lambda e: e["cut"]).alias("cuts"))
+    out = sents.select("sent_id", "lang", "s").join(flags, "sent_id", "left")
+    return out.select("sent_id", "lang", "s", cut_words(F.col("s"), lambda i: F.coalesce(F.get("cuts", i), F.lit(False))).alias("words"))
 
 
 def components_segment(edges: DataFrame, sents: DataFrame) -> DataFrame:

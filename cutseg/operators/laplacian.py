@@ -7,6 +7,8 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, functions as F
 
+from cutseg.functions.units import symbols
+
 #: Eigenvalues up to cut * (1 + SLACK) + TINY count as within the cut.
 SLACK, TINY = 1e-12, 1e-13
 
@@ -64,8 +66,14 @@ def components(bands: DataFrame) -> DataFrame:
     return bands.withColumn("n_components", F.when(F.col("n") > 0, 1 + F.size(open_)).otherwise(0))
 
 
+#: Stands between words while they are one string; a code point that is no character.
+_MARK = "\U0010ffff"
+
+
 def cut_words(s: Column, is_cut) -> Column:
-    """Words of ``s`` when a boundary follows symbol i wherever ``is_cut(i)``."""
-    n = F.length(s)
-    ends = F.concat(F.filter(F.when(n > 1, F.sequence(F.lit(0), n - 2)).otherwise(F.array().cast("array<int>")), is_cut), F.array(n - 1))
-    return F.when(n > 0, F.transform(ends, lambda e, j: F.substring(s, F.when(j == 0, F.lit(1)).otherwise(F.get(ends, j - 1) + 2), e - F.when(j == 0, F.lit(-1)).otherwise(F.get(ends, j - 1))))).otherwise(F.array().cast("array<string>"))
+    """Words of ``s`` when a boundary follows symbol i wherever ``is_cut(i)``.
+
+    Linear in the symbols, as ``is_cut`` is asked once for each of them."""
+    marked = F.transform(symbols(s), lambda c, i: F.when(is_cut(i), F.concat(c, F.lit(_MARK))).otherwise(c))
+    joined = F.rtrim(F.array_join(marked, ""), F.lit(_MARK))  # nothing follows the last symbol
+    return F.when(F.length(s) > 0, F.split(joined, _MARK)).otherwise(F.array().cast("array<string>"))

@@ -7,10 +7,9 @@ on the sentence and a sum.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
-from cutseg.functions.units import gold_words, spans, symbols
-from cutseg.operators.laplacian import cut_words  # noqa: F401  (part of this module's vocabulary)
+from cutseg.functions.units import gold_words, spans
 
 
 def gold(sents: DataFrame) -> DataFrame:
@@ -133,10 +132,7 @@ def cut_objective(bands: DataFrame, objective: str = "ratio", self_loop: float =
     return bands.withColumn("per", per).select("sent_id", value.alias("value"))
 
 
-def run_labels(words) -> "F.Column":
+def run_labels(words: Column) -> Column:
     """Run number of each symbol from a words array."""
     return F.flatten(F.transform(words, lambda w, j: F.array_repeat(j, F.length(w))))
 
-
-def letters(s) -> "F.Column":
-    return symbols(s)

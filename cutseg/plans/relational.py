@@ -9,6 +9,7 @@ from cutseg.operators import affinity as A, metrics as M, segment as S
 from cutseg.operators.corpus import ngram_counts, ranked
 from cutseg.plans.methods import predictions, query, r6, _SPANS
 from cutseg.plans.twins import sql
+from cutseg.sources import tables
 from cutseg.streaming import streams
 
 # --- scans, filters, joins --------------------------------------------------------
@@ -33,8 +34,7 @@ query("join_span_range", sql(f"+{_SPANS} select p.lang, count(*) as contained fr
     lambda x: _span_rows(predictions(x, "threshold")).alias("p").join(_span_rows(M.gold(x.test)).alias("g"), F.expr("p.sent_id = g.sent_id and p.a >= g.a and p.e <= g.e")).groupBy("p.lang").agg(F.count("*").alias("contained")))
 query("semi_labelled", "select d.doc_id, d.lang from documents d where exists (select 1 from labels l where l.doc_id = d.doc_id and l.quality = 1)")(
     lambda x: x.table("documents").join(x.table("labels").where("quality = 1"), "doc_id", "left_semi").select("doc_id", "lang"))
-query("anti_contaminated", sql("select doc_id from train_docs", "train_docs"))(lambda x: x.train.select("doc_id").distinct().unionByName(
-    __import__("cutseg.sources.tables", fromlist=["corpus"]).corpus(x.spark, x.dir, "train").select("doc_id")).distinct())
+query("anti_contaminated", sql("select doc_id from train_docs", "train_docs"))(lambda x: tables.corpus(x.spark, x.dir, "train").select("doc_id"))
 query("oov_words", sql("select distinct lang, word from gold g where regexp_matches(word, '^\\p{L}+$') and not exists (select 1 from words w where w.lang = g.lang and w.word = g.word)", "gold", "words"))(
     lambda x: M.gold(x.test).select("lang", F.explode("words").alias("word")).where(F.col("word").rlike("^\\p{L}+$")).distinct().join(x.words, ["lang", "word"], "left_anti"))
 query("outer_pred_gold", sql(f"+{_SPANS} select count(*) as n, count(p.e) as in_pred, count(g.e) as in_gold from pred p full outer join gold g on g.sent_id = p.sent_id and g.a = p.a and g.e = p.e", "test", "edges", "gold"))(

@@ -8,7 +8,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, Window as W, functions as F
 
 from cutseg.functions import units
-from cutseg.operators import affinity as A, graph as G, metrics as M, segment as S
+from cutseg.operators import affinity as A, graph as G, laplacian as L, metrics as M, segment as S
 from cutseg.operators.corpus import fit_model
 from cutseg.plans.methods import CUTS, _curve, _part_bands, predictions, query, r6, _round_scores
 from cutseg.plans.twins import sql
@@ -71,15 +71,14 @@ def _x8(x) -> DataFrame:
 
 
 query("x10_components", sql("""select n_components, count(*) as n from (select t.sent_id, 1 + coalesce(sum((e.w = 0)::int), 0)::bigint as n_components from test t left join edges e using (sent_id) group by t.sent_id) group by all""", "test", "edges"))(
-    lambda x: __import__("cutseg.operators.laplacian", fromlist=["components"]).components(
+    lambda x: L.components(
         A.to_bands(x.test, A.adjacent_weights(x.test, x.model), A.skip_weights(x.test, x.model))).groupBy(F.col("n_components").cast("long").alias("n_components")).agg(F.count("*").alias("n")))
 
 
 @query("x14_quality_slices")
 def _x14(x) -> DataFrame:
     labels = x.table("labels").select("doc_id", "quality", "toxic")
-    truth = x.test.join(F.broadcast(labels), "doc_id") if False else x.test.join(labels, "doc_id")
-    truth = truth.withColumn("words", units.gold_words(F.col("raw")))
+    truth = x.test.join(labels, "doc_id").withColumn("words", units.gold_words(F.col("raw")))
     return _round_scores(M.score_words(predictions(x, "domain_scale"), truth.select("sent_id", "lang", "quality", "toxic", "s", "words"), by=("lang", "quality", "toxic")))
 
 
@@ -114,18 +113,18 @@ def _event_symbols(x) -> DataFrame:
     return rows.select(F.concat_ws(":", "user_id", "session").alias("sent_id"), F.lit("events").alias("lang"), "s", F.length("s").alias("n"))
 
 
-def _sequence_groups(x, sents: DataFrame, cut: float) -> DataFrame:
-    held = x.ws.table(sents, f"sequences-{abs(hash(cut)) % 997}-{sents.columns[0]}-{len(sents.columns)}")
+def _sequence_groups(x, name: str, sents: DataFrame, cut: float) -> DataFrame:
+    held = x.ws.table(sents, name)
     return S.segment(held, fit_model(held), replace(S.DOMAIN_SCALE, cut=cut)).select("sent_id", "k", F.array_join("words", " ").alias("words"))
 
 
-query("x17_event_sequences")(lambda x: _sequence_groups(x, _event_symbols(x), 0.4))
+query("x17_event_sequences")(lambda x: _sequence_groups(x, "event-sequences", _event_symbols(x), 0.4))
 
 
 @query("x18_order_sequences")
 def _x18(x) -> DataFrame:
     o = x.table("orders").groupBy("o_custkey").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("o_orderdate", "o_orderkey", F.substring("o_orderpriority", 3, 1).alias("c")))), lambda r: F.lower(r["c"])), "").alias("s"))
-    return _sequence_groups(x, o.select(F.col("o_custkey").cast("string").alias("sent_id"), F.lit("orders").alias("lang"), "s", F.length("s").alias("n")), 0.5)
+    return _sequence_groups(x, "order-sequences", o.select(F.col("o_custkey").cast("string").alias("sent_id"), F.lit("orders").alias("lang"), "s", F.length("s").alias("n")), 0.5)
 
 
 @query("x19_graph_partition")
@@ -141,7 +140,7 @@ def _clusters(x) -> DataFrame:
 
 
 @query("x20_names_by_nation", sql("""select n.n_name as nation, count(distinct p.p_name) as names, count(*) as lines from lineitem l join part p on p.p_partkey = l.l_partkey join supplier s on s.s_suppkey = l.l_suppkey
-  join nation n on n.n_nationkey = s.s_nationkey group by n.n_name""".replace("select", "select", 1), "part_names"))
+  join nation n on n.n_nationkey = s.s_nationkey group by n.n_name""", "part_names"))
 def _x20(x) -> DataFrame:
     small = x.table("supplier").join(F.broadcast(x.table("nation")), F.col("s_nationkey") == F.col("n_nationkey")).select("s_suppkey", F.col("n_name").alias("nation"))
     lines = x.table("lineitem").select("l_partkey", "l_suppkey").join(small, F.col("l_suppkey") == F.col("s_suppkey"))
