@@ -7,7 +7,7 @@ on the sentence and a sum.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, Window as W, functions as F
 
 from cutseg.functions.units import gold_words, spans
 
@@ -67,13 +67,19 @@ def granularity_stats(words: DataFrame, by: tuple[str, ...] = ("lang",)) -> Data
 def error_types(pred: DataFrame, truth: DataFrame, by: tuple[str, ...] = ("lang",)) -> DataFrame:
     """Predicted words: right, merged (covers two gold words or more), split
     (inside a gold word), or crossing a gold boundary."""
-    start = lambda x: F.floor(x / 1048576)
-    end = lambda x: x % 1048576
-    rows = paired(pred, truth, by).select(*by, F.explode("p").alias("w"), "g")
-    a, b = start(F.col("w")), end(F.col("w"))
-    kind = (F.when(F.array_contains("g", F.col("w")), "right").when(F.exists("g", lambda g: (start(g) <= a) & (end(g) >= b)), "split")
-            .when(F.exists("g", lambda g: start(g) == a) & F.exists("g", lambda g: end(g) == b), "merged").otherwise("crossing"))
-    return rows.select(*by, kind.alias("kind")).groupBy(*by, "kind").agg(F.count("*").alias("n"))
+    def rows(column: str, side: int) -> DataFrame:
+        x = paired(pred, truth, by).select("sent_id", *by, F.explode(column).alias("x"))
+        return x.select("sent_id", *by, F.floor(F.col("x") / 1048576).alias("a"), (F.col("x") % 1048576).alias("e"), F.lit(side).alias("side"))
+
+    # the gold word that begins last at or before each predicted word; a window has one sentence
+    mine, theirs = rows("p", 1), rows("g", 0)
+    before = W.partitionBy("sent_id").orderBy("a", "side").rowsBetween(W.unboundedPreceding, 0)
+    gold_word = F.last(F.when(F.col("side") == 0, F.struct("a", "e")), ignorenulls=True).over(before)
+    placed = mine.unionByName(theirs).withColumn("g", gold_word).where("side = 1")
+    stops = theirs.select("sent_id", "e", F.lit(True).alias("stop"))
+    kind = (F.when((F.col("g.a") == F.col("a")) & (F.col("g.e") == F.col("e")), "right").when(F.col("e") <= F.col("g.e"), "split")
+            .when((F.col("g.a") == F.col("a")) & F.coalesce("stop", F.lit(False)), "merged").otherwise("crossing"))
+    return placed.join(stops, ["sent_id", "e"], "left").select(*by, kind.alias("kind")).groupBy(*by, "kind").agg(F.count("*").alias("n"))
 
 
 def fragmentation(words: DataFrame) -> DataFrame:
@@ -83,7 +89,6 @@ def fragmentation(words: DataFrame) -> DataFrame:
 
 def top_terms(words: DataFrame, n: int = 20, least: int = 2, min_len: int = 2) -> DataFrame:
     """The most frequent words of each language, ties by the word."""
-    from pyspark.sql import Window as W
     counts = words.select("lang", F.explode("words").alias("word")).where((F.length("word") >= min_len) & F.col("word").rlike("^\\p{L}+$")).groupBy("lang", "word").agg(F.count("*").alias("cnt"))
     rank = F.row_number().over(W.partitionBy("lang").orderBy(F.desc("cnt"), "word"))
     return counts.where(F.col("cnt") >= least).withColumn("rank", rank).where(F.col("rank") <= n)

@@ -42,7 +42,7 @@ query("outer_pred_gold", sql(f"+{_SPANS} select count(*) as n, count(p.e) as in_
     .agg(F.count("*").alias("n"), F.count("p.e").alias("in_pred"), F.count("g.e").alias("in_gold")))
 query("cross_cuts", sql("select sent_id, cut from part_names, (select unnest([0.1, 0.15, 2.0]::double[]) as cut)", "part_names"))(
     lambda x: x.part_names.select("sent_id", F.explode(F.array(*[F.lit(c) for c in (0.1, 0.15, 2.0)])).alias("cut")))
-query("asof_model_version", """select o_orderkey, v.event_id as version from orders o asof left join (select event_id, user_id, ts from events where event_type = 'purchase' qualify row_number() over (partition by user_id, ts order by event_id desc) = 1) v
+@query("asof_model_version", """select o_orderkey, v.event_id as version from orders o asof left join (select event_id, user_id, ts from events where event_type = 'purchase' qualify row_number() over (partition by user_id, ts order by event_id desc) = 1) v
   on o.o_custkey = v.user_id and o.o_orderdate >= v.ts""")
 def _asof(x) -> DataFrame:
     """Latest purchase event of the customer at or before each order."""
