@@ -106,7 +106,8 @@ query("pages_text", """select page_id, url, trim(regexp_replace(replace(replace(
 def _event_symbols(x) -> DataFrame:
     """Sessions of a user (gaps of 12 hours) as sentences over event types."""
     w = W.partitionBy("user_id").orderBy("ts", "event_id")
-    e = x.table("events").withColumn("gap", F.unix_micros("ts") - F.lag(F.unix_micros("ts")).over(w))
+    us = F.unix_micros(F.col("ts").cast("timestamp"))
+    e = x.table("events").withColumn("gap", us - F.lag(us).over(w))
     e = e.withColumn("session", F.sum(F.when(F.coalesce("gap", F.lit(0)) > 12 * 3600 * 1_000_000, 1).otherwise(0)).over(w))
     letter = F.substring("event_type", 1, 1)
     rows = e.groupBy("user_id", "session").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("ts", "event_id", letter.alias("c")))), lambda r: r["c"]), "").alias("s"))
