@@ -171,6 +171,7 @@ def _decode_tags(s: str, p: np.ndarray) -> list[str]:
     go = np.full((4, 4), -np.inf)
     for a, b in ((0, 1), (0, 2), (1, 1), (1, 2), (2, 0), (2, 3), (3, 0), (3, 3)):
         go[a, b] = 0
+    p = np.pad(p, ((0, 0), (0, 4 - p.shape[1])))  # the last tags may not occur in the training data
     log = np.log(np.maximum(p, 1e-12))
     best, back = log[0] + np.array([0, -np.inf, -np.inf, 0]), []
     for row in log[1:]:

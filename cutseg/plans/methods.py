@@ -119,9 +119,9 @@ _LAP = _LONG + """, lap as (select x.sent_id, x.n, x.i, x.d - 1.0 as l0, coalesc
 query("degree", sql(f"+{_LONG} select sent_id, i - 1 as i, round(d, 6) as d from deg", "pbands"))(
     lambda x: L.with_degrees(_part_bands(x)).select("sent_id", F.posexplode("deg").alias("i", "d")).select("sent_id", F.col("i").cast("long").alias("i"), r6("d", "d")))
 for key, form, cols in (("laplacian_plain", "plain", ("l0", "l1", "l2")), ("laplacian_sym", "sym", ("y0", "y1", "y2"))):
-    query(key, sql(f"+{_LAP} select sent_id, i - 1 as i, {', '.join(f'round({c}, 6) as m{j}' for j, c in enumerate(cols))} from lap", "pbands"))(
+    query(key, sql(f"+{_LAP} select sent_id, i - 1 as i, {', '.join(f'round({c}, 6) + 0.0 as m{j}' for j, c in enumerate(cols))} from lap", "pbands"))(
         lambda x, form=form: L.laplacian(_part_bands(x), form).select("sent_id", F.posexplode("l0").alias("i", "v"), "l1", "l2").select(
-            "sent_id", F.col("i").cast("long").alias("i"), r6("v", "m0"), r6(F.coalesce(F.get("l1", F.col("i")), F.lit(0.0)), "m1"), r6(F.coalesce(F.get("l2", F.col("i")), F.lit(0.0)), "m2")))
+            "sent_id", F.col("i").cast("long").alias("i"), *[(F.round(v, 6) + 0.0).alias(m) for v, m in ((F.col("v"), "m0"), (F.coalesce(F.get("l1", F.col("i")), F.lit(0.0)), "m1"), (F.coalesce(F.get("l2", F.col("i")), F.lit(0.0)), "m2"))]))
 
 
 def _count_sql(cols: tuple[str, str, str], cuts: list[float]) -> str:

@@ -84,7 +84,7 @@ def test_contiguous_split_is_best():
 
 
 def test_scaling_weights_and_cut_changes_nothing():
-    adj, skip = random_bands(14, 5)
+    adj, skip = random_bands(14, 5, 0.0)
     a, b = (S.labels_of(adj * c, skip * c, S.SegmentConfig(cut=0.4 * c), 0)[1].tolist() for c in (1.0, 8.0))
     assert a == b
 
