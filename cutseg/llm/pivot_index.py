@@ -1,10 +1,13 @@
 """Near-duplicate vectors through an index of pivot permutations.
 
-A vector is described by its nearest reference points (pivots), a bounded sample
-of the vectors themselves.  Inverted lists are kept for pairs of pivots, which
-makes them short: two vectors meet in a list if they share both pivots.  Lists
-are joined, the pivots that both vectors share are counted, and a pair with
-enough of them is verified once, by cosine in double precision.
+A vector is described by its nearest reference points (pivots), taken from a
+bounded sample of the vectors themselves and spread apart, so that a large group
+of near copies holds few of them.  Vectors of one nearest pivot (a cell) are
+compared all with all, in blocks that give counts and a spanning forest and no
+row for each pair.  Across cells, inverted lists are kept for pairs of pivots,
+which makes them short: two vectors meet in a list if they share both pivots.
+Lists are joined, the pivots that both vectors share are counted, and a pair with
+enough of them is verified once.  All cosines are in double precision.
 """
 
 from __future__ import annotations
@@ -12,6 +15,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F
@@ -21,7 +25,11 @@ from cutseg.plans.workspace import Workspace
 
 #: Reference points (the sample's bound), nearest ones kept, and shared ones that make a candidate.
 PIVOTS, NEAREST, SHARED = 1024, 10, 3
-_DESCRIBED = "vec_id long, label string, sig binary, near array<smallint>"
+#: Vectors among which pivots are looked for, and the cosine that two pivots stay below.
+SAMPLE, SPREAD = 4096, 0.8
+#: Vectors of a cell that one block holds.
+BLOCK = 512
+_DESCRIBED = "vec_id long, label string, sig binary, near array<smallint>, home smallint"
 
 
 def _array(v) -> np.ndarray | None:
@@ -44,7 +52,7 @@ def _describe(shared):
             labels = batch.column(1).to_pylist()
             vectors = [_array(v) if label is not None and i is not None else None
                        for i, label, v in zip(batch.column(0).to_pylist(), labels, batch.column(2).to_pylist())]
-            near, sigs = [], []
+            near, sigs, homes = [], [], {}
             good = [k for k, v in enumerate(vectors) if v is not None]
             lists: dict[int, list[int]] = {}
             width = pivots.shape[1]
@@ -57,11 +65,13 @@ def _describe(shared):
                 score = x @ pivots.T
                 top = np.argsort(-score, axis=1, kind="stable")[:, :NEAREST]
                 lists |= {k: sorted(t) for k, t in zip(part, top.tolist())}
+                homes |= dict(zip(part, top[:, 0].tolist()))
             for k, v in enumerate(vectors):
                 near.append(lists.get(k))
                 sigs.append(None if v is None else xxhash.xxh3_128_digest(v.tobytes()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(sigs, pa.binary()), pa.array(near, pa.list_(pa.int16()))],
-                                             ["vec_id", "label", "sig", "near"])
+            home = pa.array([homes.get(k) for k in range(len(vectors))], pa.int16())
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(sigs, pa.binary()), pa.array(near, pa.list_(pa.int16())), home],
+                                             ["vec_id", "label", "sig", "near", "home"])
     return run
 
 
@@ -78,6 +88,28 @@ def _verify(least: float):
     return run
 
 
+def _within(least: float):
+    """Links inside one block of a cell, or between two: the copies that each
+    vector is linked with, and the smallest vector that it reaches there."""
+    def run(f: pd.DataFrame) -> pd.DataFrame:
+        f = f.sort_values("rep", ignore_index=True)
+        x = np.array([unit(np.asarray(v, np.float64)) for v in f["v"]])
+        link = x @ x.T >= least
+        np.fill_diagonal(link, False)
+        if f["i"].iloc[0] != f["j"].iloc[0]:
+            block = f["block"].to_numpy()
+            link &= block[:, None] != block[None]
+        others, first = link @ f["copies"].to_numpy(np.int64), np.arange(len(f))
+        while True:
+            least_seen = np.minimum(first, np.where(link, first[None], len(f)).min(1))
+            if (least_seen == first).all():
+                break
+            first = least_seen
+        out = pd.DataFrame({"a": f["rep"], "b": f["rep"].to_numpy()[first], "others": others})
+        return out[others > 0]
+    return run
+
+
 class PivotIndex:
     """Links of equal-label vectors with cosine of at least ``least``.
 
@@ -94,45 +126,62 @@ class PivotIndex:
         shared = spark.sparkContext.broadcast(self._sample(rows))
         self.described = ws.table(rows.mapInArrow(_describe(shared), _DESCRIBED), "described")
         self.classes = ws.table(self.described.where("sig is not null").groupBy("label", "sig").agg(
-            F.min("vec_id").alias("rep"), F.count("*").alias("copies"), F.first("near").alias("near")), "classes")
+            F.min("vec_id").alias("rep"), F.count("*").alias("copies"), F.first("near").alias("near"), F.first("home").alias("home")), "classes")
         pairs = ws.table(self._candidates(), "pairs")
         own = rows.select("vec_id", "v")
         ids = self.classes.select(F.col("rep").alias("vec_id"))
         needed = own.join(ids, "vec_id", "left_semi").dropDuplicates(["vec_id"])
         checked = (pairs.join(needed.select(F.col("vec_id").alias("a"), F.col("v").alias("va")), "a")
                    .join(needed.select(F.col("vec_id").alias("b"), F.col("v").alias("vb")), "b").select("a", "b", "va", "vb"))
-        #: Links between class representatives, with their cosine.
+        #: Links between class representatives of different cells, with their cosine.
         self.links = ws.table(checked.mapInArrow(_verify(least), "a long, b long, cosine double"), "links")
-        self.component = connected_components(self.links, ws)
+        #: Links inside cells, as linked copies of a and the smallest b it reaches in its blocks.
+        self.cells = ws.table(self._cells(needed, least), "cells")
+        self.component = connected_components(self.links.select("a", "b").union(self.cells.select("a", "b")), ws)
 
     @staticmethod
     def _sample(rows: DataFrame) -> np.ndarray:
-        """At most ``PIVOTS`` vectors, those with the smallest hash of the id."""
-        picked = rows.where("v is not null and label is not null").orderBy(F.xxhash64("vec_id"), "vec_id").limit(PIVOTS).collect()
+        """At most ``PIVOTS`` vectors, no two within ``SPREAD``: in the order of
+        the hash of the id, those that are far from all before them."""
+        picked = rows.where("v is not null and label is not null").orderBy(F.xxhash64("vec_id"), "vec_id").limit(SAMPLE).collect()
         vectors = [unit(x) for x in (_array(r["v"]) for r in picked) if x is not None]
         width = max((len(v) for v in vectors), default=1)
-        return np.array([np.pad(v, (0, width - len(v))) for v in vectors]).reshape(-1, width)
+        pivots, n = np.zeros((PIVOTS, width)), 0
+        for v in vectors:
+            if n < PIVOTS and (pivots[:n, :len(v)] @ v < SPREAD).all():
+                pivots[n, :len(v)], n = v, n + 1
+        return pivots[:n]
+
+    def _cells(self, needed: DataFrame, least: float) -> DataFrame:
+        """Each pair of blocks of a cell is one group, so no group grows with a cell."""
+        cell = ["label", "home", "width"]
+        rows = self.classes.select("label", "home", "rep", "copies").join(needed.select(F.col("vec_id").alias("rep"), "v"), "rep").withColumn("width", F.size("v"))
+        blocks = rows.groupBy(cell).agg(F.count("*").alias("size")).where("size > 1").withColumn("blocks", F.ceil(F.col("size") / BLOCK))
+        dealt = (rows.join(F.broadcast(blocks), cell).withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")))
+                 .withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))  # at most labels x PIVOTS x widths cells
+                 .withColumns({"i": F.least("block", "other"), "j": F.greatest("block", "other")}))
+        return dealt.groupBy(*cell, "i", "j").applyInPandas(_within(least), "a long, b long, others long")
 
     def _candidates(self) -> DataFrame:
         places = F.sequence(F.lit(0), F.size("near") - 2)
         keys = F.flatten(F.transform(places, lambda i: F.transform(
             F.slice("near", i + 2, F.size("near")), lambda q: F.element_at("near", i + 1).cast("int") * PIVOTS + q)))
-        # with fewer than two pivots there is one list
-        keys = F.when(F.size("near") >= 2, keys).otherwise(F.array(F.lit(-1)))
-        lists = self.classes.select("label", "rep", "near", F.explode(keys).alias("key"))
+        # with fewer than two pivots there is one cell and nothing across
+        keys = F.when(F.size("near") >= 2, keys)
+        lists = self.classes.select("label", "rep", "near", "home", F.explode(keys).alias("key"))
         x, y = lists.alias("x"), lists.alias("y")
         both = F.array_intersect("x.near", "y.near")
         enough = F.size(both) >= F.least(F.lit(SHARED), F.size("x.near"), F.size("y.near"))
         # of all lists in which a pair meets, only the first gives it out
         first = F.element_at(both, 1).cast("int") * PIVOTS + F.element_at(both, 2)
-        met = (F.col("x.label") == F.col("y.label")) & (F.col("x.key") == F.col("y.key")) & (F.col("x.rep") < F.col("y.rep"))
-        return x.join(y, met & enough & ((F.col("x.key") == -1) | (F.col("x.key") == first))).select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"))
+        met = (F.col("x.label") == F.col("y.label")) & (F.col("x.key") == F.col("y.key")) & (F.col("x.home") < F.col("y.home"))
+        return x.join(y, met & enough & (F.col("x.key") == first)).select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"))
 
     def vectors(self) -> DataFrame:
         """``vec_id, n_links, component_id, kept``: one row per input row."""
         sizes = self.classes.select(F.col("rep").alias("b"), "copies")
         both = self.links.select("a", "b").union(self.links.select("b", "a"))
-        linked = both.join(sizes, "b").groupBy("a").agg(F.sum("copies").alias("others"))
+        linked = both.join(sizes, "b").select("a", F.col("copies").alias("others")).union(self.cells.select("a", "others")).groupBy("a").agg(F.sum("others").alias("others"))
         named = (self.classes.join(linked, F.col("rep") == F.col("a"), "left").join(self.component, F.col("rep") == F.col("node"), "left")
                  .select(F.col("label").alias("l"), F.col("sig").alias("s"), (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n"), F.coalesce("component", "rep").alias("c")))
         out = self.described.join(named, (F.col("label") == F.col("l")) & (F.col("sig") == F.col("s")), "left")

@@ -100,6 +100,25 @@ def test_pivot_index(spark):
     assert PivotIndex(v.where("false")).vectors().count() == 0
 
 
+@pytest.mark.parametrize("low, high", [(0.97, 1.0), (0.99, 0.9999)])
+def test_pivot_index_in_a_hot_group(spark, low, high):
+    """A third of the rows are near copies of one centre."""
+    rng, n, hot = np.random.default_rng(11), 3000, 1000
+    x = rng.normal(size=(n, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    centre, cos = x[0].copy(), rng.uniform(low, high, hot)[:, None]
+    away = x[:hot] - (x[:hot] @ centre)[:, None] * centre
+    away[0] = rng.normal(size=64)
+    away[0] -= (away[0] @ centre) * centre
+    x[:hot] = cos * centre + np.sqrt(1 - cos**2) * away / np.linalg.norm(away, axis=1, keepdims=True)
+    ids = rng.permutation(n)
+    v = spark.createDataFrame([(int(i), r, 1) for i, r in zip(ids, x.tolist())], "vec_id long, embedding array<double>, label int")
+    got = {r["vec_id"]: r["n_links"] for r in PivotIndex(v).vectors().collect()}
+    want = (x @ x.T >= 0.93).sum(1) - 1
+    assert all(got[i] <= w for i, w in zip(ids.tolist(), want.tolist()))
+    assert sum(got.values()) >= 0.97 * want.sum()
+
+
 # --- revisits -----------------------------------------------------------------------
 
 
