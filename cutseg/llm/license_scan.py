@@ -3,12 +3,16 @@
 Words that occur once in both sides are anchors; the longest run of anchors that
 keeps their order is kept, and the gaps between them are aligned in the same
 way.  Where a gap has no anchor, equal words at its two ends are matched.
+
+A notice that stands more than once has no anchors, so each place of the
+template's rarest words is a window of its own, aligned exactly.
 """
 
 from __future__ import annotations
 
 import re
 from bisect import bisect_left
+from collections import Counter
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -31,7 +35,8 @@ TEMPLATES = [
 ]
 #: Share of a template's words that must align.
 COVERAGE = 0.8
-_FOUND = "doc_id long, license string, template int, coverage double, matched int, template_words int, first_word int, last_word int"
+_FOUND = "doc_id long, license string, template int, coverage double, matched int, template_words int, first_word int, last_word int, occurrences array<struct<license: string, template: int, coverage: double, first_word: int, last_word: int>>"
+_PLACE = pa.struct([("license", pa.string()), ("template", pa.int32()), ("coverage", pa.float64()), ("first_word", pa.int32()), ("last_word", pa.int32())])
 
 
 def longest_rising(values: list[int]) -> list[int]:
@@ -80,6 +85,24 @@ def align(a: list, b: list) -> list[tuple[int, int]]:
     return sorted(found)
 
 
+def tightest(words: list[tuple[int, str]], template: list) -> tuple[int, int, int]:
+    """Length of the longest common subsequence of placed words and a template,
+    with the first and last place of its shortest run."""
+    state, best = [(0, 0)] * (len(template) + 1), (0, 0, 0, 0)
+    for at, w in words:
+        row = [(0, 0)]
+        for j, t in enumerate(template):
+            new = max(row[j], state[j + 1])
+            if w == t:
+                n, start = state[j]
+                new = max(new, (n + 1, start if n else at))
+            row.append(new)
+        state = row
+        n, start = state[-1]
+        best = max(best, (n, start - at, start, at))
+    return best[0], best[2], best[3]
+
+
 class Scanner:
     """Aligns texts with templates; words that no template has are left out
     first, which changes no alignment."""
@@ -90,18 +113,52 @@ class Scanner:
         self.known = {w for t in self.words for w in t}
         self.coverage = coverage
 
+    def occurrences(self, placed: list[tuple[int, str]], template: list) -> list[tuple[int, int, int]]:
+        """Matched words, first and last place of all disjoint runs that reach
+        the coverage with at most half a template of other words in them.
+
+        So few words may miss that one of the rarest stands in every such run."""
+        m = len(template)
+        need = next(n for n in range(m + 1) if n / m >= self.coverage)
+        count, own = Counter(w for _, w in placed), Counter(template)
+        if sum(min(n, count[w]) for w, n in own.items()) < max(1, need):
+            return []
+        rare, covered = set(), 0
+        for w in sorted(own, key=lambda w: (count[w], w)):
+            if covered > m - need:
+                break
+            rare.add(w)
+            covered += own[w]
+        slack, places, runs = max(4, m // 2), [at for at, _ in placed], set()
+        windows = {(at - t - slack, at + m - t + slack) for at, w in placed if w in rare for t in range(m) if template[t] == w}
+        for low, high in windows:
+            part = placed[bisect_left(places, low):bisect_left(places, high)]
+            if len(part) >= need:
+                runs.add(tightest(part, template))
+        out: list = []
+        taken: list = []  # ends of taken runs in order: start, end, start, end
+        for n, first, last in sorted(runs, key=lambda r: (-r[0], r[2] - r[1], r[1])):
+            i = bisect_left(taken, first)
+            if n >= need and i % 2 == 0 and (i == len(taken) or taken[i] > last):
+                taken[i:i] = [first, last + 0.5]
+                out.append((n, first, last))
+        return sorted(out, key=lambda r: r[1])
+
     def scan(self, text: str | None) -> tuple:
-        """license or None, template, coverage, matched, template words, and
-        the places among the text's words where the match begins and ends."""
+        """license or None, template, coverage, matched, template words, the
+        places among the text's words where the match begins and ends, and all
+        occurrences of all templates that reach the coverage."""
         at, kept = [], []
         for i, w in enumerate(_WORD.findall(text.lower()) if text else ()):
             if w in self.known:
                 at.append(i)
                 kept.append(w)
-        best = (None, None, 0.0, 0, 0, None, None)
+        best, every = (None, None, 0.0, 0, 0, None, None), []
         for k, template in enumerate(self.words):
             own = set(template)
             places = [i for i, w in enumerate(kept) if w in own]
+            runs = self.occurrences([(at[i], kept[i]) for i in places], template)
+            every += [(self.names[k], k, n / len(template), first, last) for n, first, last in runs]
             if len(places) <= best[2] * len(template):
                 continue  # it can't cover more than the best
             pairs = align([kept[i] for i in places], template)
@@ -109,22 +166,27 @@ class Scanner:
             if share > best[2]:
                 hits = [at[places[i]] for i, _ in pairs]
                 best = (self.names[k] if share >= self.coverage else None, k, share, len(pairs), len(template), hits[0], hits[-1])
-        return best
+            for n, first, last in runs:
+                if n / len(template) > best[2]:
+                    best = (self.names[k], k, n / len(template), n, len(template), first, last)
+        return *best, every
 
 
 def _scan(scanner: Scanner):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             rows = [scanner.scan(t) for t in batch.column(1).to_pylist()]
-            columns = list(zip(*rows)) or [()] * 7
-            kinds = (pa.string(), pa.int32(), pa.float64(), *[pa.int32()] * 4)
+            columns = list(zip(*rows)) or [()] * 8
+            kinds = (pa.string(), pa.int32(), pa.float64(), *[pa.int32()] * 4, pa.list_(_PLACE))
+            columns[-1] = [[dict(zip(("license", "template", "coverage", "first_word", "last_word"), o)) for o in r] for r in columns[-1]]
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(columns, kinds))],
-                                             ["doc_id", "license", "template", "coverage", "matched", "template_words", "first_word", "last_word"])
+                                             ["doc_id", "license", "template", "coverage", "matched", "template_words", "first_word", "last_word", "occurrences"])
     return run
 
 
 def scan_licenses(docs: DataFrame, scanner: Scanner | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The template that covers most of itself in each text; one row per row.
+    """The template that covers most of itself in each text, and all
+    occurrences that reach the least coverage; one row per row.
 
     ``license`` is null below the least coverage.  Null, empty and wordless
     texts, and those without any template word, have coverage 0 and null

@@ -300,6 +300,16 @@ def test_words_outside_templates_change_nothing():
         assert scan.scan(f"qq {t} zz")[2] == 1.0
 
 
+def test_notices_that_stand_twice(spark):
+    mit, apache = "Released under the MIT License.", "Licensed under the Apache License, Version 2.0."
+    texts = [f"Down to the town. {mit} We went to the sea. {mit} Back to the town.", f"The license of the sea. {apache} {mit} In the town {apache} and the license.", "Under the sea and the town, the license."]
+    got = {r["doc_id"]: r for r in LS.scan_licenses(docs_of(spark, texts)).collect()}
+    assert [got[i]["license"] for i in range(3)] == ["MIT", "MIT", None]
+    places = [sorted((o["license"], o["first_word"], o["last_word"]) for o in got[i]["occurrences"]) for i in range(3)]
+    assert places[0] == [("MIT", 4, 8), ("MIT", 14, 18)]
+    assert [n for n, _, _ in places[1]] == ["Apache-2.0", "Apache-2.0", "MIT"] and places[2] == []
+
+
 # --- toxicity ---------------------------------------------------------------------------------
 
 
