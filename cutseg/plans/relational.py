@@ -153,7 +153,7 @@ query("win_session", """select user_id, min(epoch_us(ts)) as start_us, count(*)
 
 @query("stream_segment")
 def _stream_segment(x) -> DataFrame:
-    docs = x.ws.table(x.documents.where("lang = 'es'").repartition(4), "stream-docs")
+    docs = x.ws.table(x.documents.repartition(4), "stream-docs")
     stream = streams.document_stream(x.spark, docs.inputFiles()[0].rsplit("/", 1)[0])
     out = streams.run_to_end(streams.segment_stream(stream, x.model, S.DOMAIN_SCALE), "segment")
     return out.select("sent_id", "lang", "k", F.array_join("words", " ").alias("words"))
@@ -161,10 +161,16 @@ def _stream_segment(x) -> DataFrame:
 
 @query("stream_counts", sql("select lang, substr(s, i, 2) as g, count(*) as cnt from (select lang, s, unnest(range(1, length(s))) as i from all_sents where lang = 'es') group by all", "all_sents"))
 def _stream_counts(x) -> DataFrame:
-    docs = x.ws.table(x.documents.where("lang = 'es'").repartition(3), "stream-count-docs")
+    """The rows of ``stream_counts_all`` that the twin names."""
+    return _stream_counts_all(x).where("lang = 'es'")
+
+
+@query("stream_counts_all", sql("select lang, substr(s, i, 2) as g, count(*) as cnt from (select lang, s, unnest(range(1, length(s))) as i from all_sents) group by all", "all_sents"))
+def _stream_counts_all(x) -> DataFrame:
+    docs = x.ws.table(x.documents.repartition(3), "stream-count-docs")
     counts = streams.RunningCounts(x.spark)
     stream = streams.document_stream(x.spark, docs.inputFiles()[0].rsplit("/", 1)[0])
-    stream.writeStream.foreachBatch(counts.update).option("checkpointLocation", f"{x.ws.root}/stream-count-log").trigger(availableNow=True).start().awaitTermination()
+    stream.writeStream.foreachBatch(counts.update).option("checkpointLocation", f"{counts.ws.root}-log").trigger(availableNow=True).start().awaitTermination()
     return counts.total()
 
 

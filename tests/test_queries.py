@@ -32,6 +32,12 @@ def test_twin(spark, con, sf_dir, name):
     assert rows(got) == rows(want)
 
 
+def test_streams_read_all_documents(spark, con, sf_dir):
+    test_twin(spark, con, sf_dir, "stream_counts_all")
+    found = {r["lang"] for r in QUERIES["stream_segment"](spark, sf_dir).select("lang").distinct().collect()}
+    assert found == {r[0] for r in con.sql("select distinct lang from documents where text is not null").fetchall()} and len(found) > 1
+
+
 def test_entry(spark):
     import __spark_entry__ as e
     assert e.entry(spark).limit(1).count() == 1
