@@ -38,6 +38,24 @@ def test_streams_read_all_documents(spark, con, sf_dir):
     assert found == {r[0] for r in con.sql("select distinct lang from documents where text is not null").fetchall()} and len(found) > 1
 
 
+def test_tagger_is_fitted_on_all_of_train(spark, sf_dir, monkeypatch):
+    from cutseg.plans import methods
+    from cutseg.plans.context import context
+    given = []
+
+    class Spy:
+        def __init__(self, gold):
+            given.append(gold.count())
+
+        def segment(self, sents):
+            return sents
+
+    monkeypatch.setattr(methods.B, "Tagger", Spy)
+    x = context(spark, sf_dir)
+    methods.predictions(x, "tagger")
+    assert given == [x.train.count()] and given[0] > 0
+
+
 def test_entry(spark):
     import __spark_entry__ as e
     assert e.entry(spark).limit(1).count() == 1
