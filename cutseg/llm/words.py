@@ -3,20 +3,62 @@ that grows with the input)."""
 
 from __future__ import annotations
 
+import ctypes
+import re
+from collections.abc import Callable, Iterator
+
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 
 U64 = np.uint64
-#: Rows of whole texts that go to a Python worker at once.
-BATCH_ROWS = 1000
+#: Rows of whole texts that go to a Python worker at once, and their bytes (one
+#: row may be larger).
+BATCH_ROWS, BATCH_BYTES = 1000, 2 << 20
 
 
 def small_batches(spark) -> None:
-    """Lower the session's Arrow batches to ``BATCH_ROWS`` where they are larger:
-    with whole texts the default of 10,000 rows takes too much of an executor."""
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if not 0 < int(spark.conf.get(key)) <= BATCH_ROWS:
-        spark.conf.set(key, BATCH_ROWS)
+    """Lower the session's Arrow batches to ``BATCH_ROWS`` and ``BATCH_BYTES``
+    where they are larger: with whole texts the defaults (10,000 rows, 64 MB)
+    take too much of an executor."""
+    for key, most in (("maxRecordsPerBatch", BATCH_ROWS), ("maxBytesPerBatch", BATCH_BYTES)):
+        key = f"spark.sql.execution.arrow.{key}"
+        held = spark.conf.get(key, None)
+        if held is None or not 0 < int(re.sub(r"\D", "", held) or 0) <= most or not held.isdigit():
+            spark.conf.set(key, most)
+
+
+def bounded(batch: pa.RecordBatch, column: int, most: int = BATCH_BYTES) -> Iterator[pa.RecordBatch]:
+    """Slices of a batch whose values in a column of strings or bytes take at
+    most ``most`` bytes together, or that have one row."""
+    if batch.num_rows == 0:
+        return
+    ends = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64).cumsum()
+    at = 0
+    while at < batch.num_rows:
+        before = ends[at - 1] if at else 0
+        to = max(at + 1, int(np.searchsorted(ends, before + most, side="right")))
+        yield batch.slice(at, to - at)
+        at = to
+
+
+def _hand_back() -> None:
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # not the GNU C library: it keeps what it has
+        pass
+
+
+def tidy(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """``run`` for ``mapInArrow``; a worker that has finished a partition stays
+    alive for the next one, so it gives its free memory back to the system."""
+    def whole(batches: Iterator) -> Iterator:
+        yield from run(batches)
+        _hand_back()
+    return whole
+
 
 _MULTIPLIER = U64(0x9E3779B97F4A7C15)
 
@@ -24,7 +66,7 @@ _MULTIPLIER = U64(0x9E3779B97F4A7C15)
 class WordHashes(dict):
     """bytes -> 64-bit hash; keeps at most ``limit`` words between documents."""
 
-    def __init__(self, limit: int = 200_000):
+    def __init__(self, limit: int = 50_000):
         super().__init__()
         self.limit = limit
 
