@@ -147,19 +147,19 @@ def random_packing(counts: dict[int, int], capacity: int, rng: random.Random) ->
 
 def evolve(counts: dict[int, int], capacity: int, seeds: list[Packing], rng: random.Random, population: int = 5, generations: int = 6) -> Packing:
     """Run one island for some generations; its best individual, never worse
-    than the best of ``seeds``."""
+    than the best of ``seeds``.  Random packings fill up the first population; a
+    generation that meets the lower bound is the last one."""
     bound = lower_bound(counts, capacity)
     key = lambda p: fitness(p, capacity)
     pool = list(seeds)
     while len(pool) < population:
         pool.append(random_packing(counts, capacity, rng))
     for _ in range(generations):
-        pool.sort(key=key, reverse=True)
-        if bins_of(pool[0]) <= bound:
-            break
         children = []
         for _ in range(max(1, population // 2)):
             a, b = (max(rng.sample(pool, 2), key=key) for _ in range(2))
             children += [crossover(a, b, capacity, rng), mutate(a, capacity, rng)]
         pool = sorted(pool + children, key=key, reverse=True)[:population]
+        if bins_of(pool[0]) <= bound:
+            break
     return max(pool, key=key)

@@ -3,8 +3,8 @@
 1. One pass over the texts tokenises each document and cuts it into pieces
    [pieces: ids, place and length].
 2. The number of pieces of each length - at most 2048 numbers - goes to the
-   driver.  Islands of a grouping genetic algorithm evolve packings of these
-   counts, one task each, and pass their best to the next island.
+   driver.  Islands of a grouping genetic algorithm evolve random packings of
+   these counts, one task each, and pass their best to the next island.
 3. Pieces of equal length are numbered without a gap; number and length give a
    piece its sequence and place in the winning packing.  This looks up a table
    of bin contents, whose size depends on the number of lengths only.
@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, Window as W, functions as F
 
 from cutseg.llm import grouping_ga as ga
 from cutseg.llm.fast_bpe import encoder
-from cutseg.llm.words import BATCH_ROWS, small_batches
+from cutseg.llm.words import BATCH_BYTES, bounded, small_batches, tidy
 from cutseg.plans.workspace import Workspace
 
 CAPACITY = 2048
@@ -43,8 +43,7 @@ def _cut(path: str, capacity: int, end_id: int, whole: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = encoder(path)
         for big in batches:
-            for at in range(0, big.num_rows, BATCH_ROWS):  # bounds the ids that are held
-                batch = big.slice(at, BATCH_ROWS)
+            for batch in bounded(big, 1, BATCH_BYTES // 2):  # bounds the ids that are held
                 flat, ends = words.encode(batch.column(1))
                 # the end id behind each document
                 flat = np.insert(flat, ends, end_id).astype("<u4")
@@ -75,38 +74,48 @@ def cut_documents(docs: DataFrame, *, path: str | None = None, capacity: int = C
     """
     small_batches(docs.sparkSession)
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text"))
-    return rows.mapInArrow(_cut(path or vocabulary_path(), capacity, end_id, with_ids), _IDS if with_ids else _PIECES)
+    return rows.mapInArrow(tidy(_cut(path or vocabulary_path(), capacity, end_id, with_ids)), _IDS if with_ids else _PIECES)
 
 
 def evolve_islands(spark, counts: dict[int, int], capacity: int = CAPACITY, *, islands: int = 4, epochs: int = 2, seed: int = 7) -> ga.Packing:
-    """The best packing of ``counts`` that some islands find; between epochs
-    each island gets the elite of the one before it in the ring.
-
-    Island ``i`` of epoch ``e`` depends on seed, i and e alone, so a task that
-    runs again gives the same individual.
+    """The best packing of ``counts`` that the islands find.
+
+    Islands start from random packings; between epochs each gets the elite of
+    the one before it in the ring.  In the last epoch one island also takes in
+    the best-fit packing, so the result is never worse than that.  Epochs end
+    early when an elite meets the lower bound.  Island ``i`` of epoch ``e``
+    depends on seed, i and e alone, so a task that runs again gives the same
+    individual.
     """
-    best = ga.best_fit({}, counts, capacity)
-    if not counts or ga.bins_of(best) <= ga.lower_bound(counts, capacity):
-        return best  # proven to be least
-    elites = [best] * islands
+    if not counts:
+        return {}
+    elites: list[ga.Packing] = []
     for epoch in range(epochs):
-        state = spark.sparkContext.broadcast((counts, [[(list(k), n) for k, n in e.items()] for e in elites]))
-
-        def run(batches: Iterator[pa.RecordBatch], epoch: int = epoch) -> Iterator[pa.RecordBatch]:
-            sizes, guests = state.value
-            for batch in batches:
-                for i in batch.column(0).to_pylist():
-                    rng = random.Random(seed * 1_000_003 + epoch * 1009 + i)
-                    own, guest = ({tuple(k): n for k, n in guests[j]} for j in (i, i - 1))
-                    found = ga.evolve(sizes, capacity, [own, guest] if epoch else [own], rng)
-                    yield pa.RecordBatch.from_pydict({"island": [i], "packing": [json.dumps([(k, n) for k, n in found.items()])]})
-
-        rows = spark.range(0, islands, 1, islands).mapInArrow(run, "island long, packing string").collect()
-        elites = [{tuple(k): n for k, n in json.loads(r["packing"])} for r in sorted(rows, key=lambda r: r["island"])]
-        best = max([best, *elites], key=lambda p: ga.fitness(p, capacity))
-        if ga.bins_of(best) <= ga.lower_bound(counts, capacity):
+        pools = [[elites[i], elites[i - 1]] if elites else [] for i in range(islands)]
+        if epoch == epochs - 1:
+            pools[0].append(ga.best_fit({}, counts, capacity))
+        state = spark.sparkContext.broadcast((counts, [[list(p.items()) for p in pool] for pool in pools]))
+        rows = spark.range(0, islands, 1, islands).mapInArrow(_island(state, capacity, epoch, seed), "island long, packing string").collect()
+        elites = [_packing(json.loads(r["packing"])) for r in sorted(rows, key=lambda r: r["island"])]
+        if min(map(ga.bins_of, elites)) <= ga.lower_bound(counts, capacity):
             break
-    return best
+    return max(elites, key=lambda p: ga.fitness(p, capacity))
+
+
+def _packing(items) -> ga.Packing:
+    return {tuple(content): n for content, n in items}
+
+
+def _island(state, capacity: int, epoch: int, seed: int):
+    """The elite of each island of a partition, as JSON."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        counts, pools = state.value
+        for batch in batches:
+            for i in batch.column(0).to_pylist():
+                rng = random.Random(seed * 1_000_003 + epoch * 1009 + i)
+                found = ga.evolve(counts, capacity, [_packing(p) for p in pools[i]], rng)
+                yield pa.RecordBatch.from_pydict({"island": [i], "packing": [json.dumps(list(found.items()))]})
+    return run
 
 
 def _places(packing: ga.Packing) -> dict[str, np.ndarray]:
@@ -159,7 +168,7 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, *, islands: int = 4, epoch
                 .select(*columns, (F.col("__start") + F.col("__row")).cast("long").alias("number")))
     shared = spark.sparkContext.broadcast(_places(packing))
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pieces.schema)
-    return numbered.mapInArrow(_place(shared), f"{kinds}, sequence_id long, offset long")
+    return numbered.mapInArrow(tidy(_place(shared)), f"{kinds}, sequence_id long, offset long")
 
 
 def sequences(placed: DataFrame, pieces: DataFrame) -> DataFrame:

@@ -376,3 +376,68 @@ def test_url_filter(spark):
 
 def test_sigmoid_is_finite():
     assert math.isfinite(float(T.sigmoid(1e9))) and math.isfinite(float(T.sigmoid(-1e9)))
+
+
+# --- islands ---------------------------------------------------------------------
+
+
+def brute_bins(items, capacity):
+    """Fewest bins, by trying every bin for every item."""
+    best = [len(items)]
+
+    def go(k, bins):
+        if len(bins) >= best[0]:
+            return
+        if k == len(items):
+            best[0] = len(bins)
+            return
+        for j in range(len(bins)):
+            if bins[j] + items[k] <= capacity:
+                go(k + 1, [*bins[:j], bins[j] + items[k], *bins[j + 1:]])
+        go(k + 1, [*bins, items[k]])
+    go(0, [])
+    return best[0]
+
+
+def test_islands_reach_the_least_number_of_bins(spark):
+    rng = random.Random(3)
+    for _ in range(3):
+        items = sorted((rng.randint(15, 60) for _ in range(11)), reverse=True)
+        found = P.evolve_islands(spark, Counter(items), 100)
+        assert Counter(s for content, n in found.items() for s in content * n) == Counter(items)
+        assert max(map(sum, found)) <= 100 and ga.bins_of(found) == brute_bins(items, 100)
+        assert found == P.evolve_islands(spark, Counter(items), 100)
+    assert P.evolve_islands(spark, {}, 100) == {}
+
+
+def test_islands_start_without_best_fit_and_exchange_their_elites(monkeypatch):
+    counts, seen = Counter({60: 3, 50: 4, 40: 3, 30: 5, 21: 4}), []
+
+    class Shared:
+        def __init__(self, value):
+            self.value = value
+
+    class Rows(list):
+        def mapInArrow(self, run, _):
+            self.rows = [r for i in self for out in run(iter([pa.RecordBatch.from_pydict({"island": [i]})])) for r in out.to_pylist()]
+            return self
+
+        def collect(self):
+            return self.rows
+
+    class Session:
+        sparkContext = type("C", (), {"broadcast": staticmethod(Shared)})
+
+        def range(self, low, high, *_):
+            return Rows(range(low, high))
+
+    def evolve(counts, capacity, seeds, rng, **_):
+        seen.append([dict(s) for s in seeds])
+        return ga.random_packing(counts, capacity, rng)
+    monkeypatch.setattr(ga, "evolve", evolve)
+    monkeypatch.setattr(ga, "lower_bound", lambda *_: 0)
+    P.evolve_islands(Session(), counts, 100, islands=3, epochs=2)
+    assert seen[:3] == [[], [], []]  # the first epoch knows no packing at all
+    own = [s[0] for s in seen[3:]]
+    assert [s[1] for s in seen[3:]] == [own[2], own[0], own[1]]  # the neighbour's elite comes along the ring
+    assert seen[3][2] == ga.best_fit({}, counts, 100) and len(seen[4]) == len(seen[5]) == 2
