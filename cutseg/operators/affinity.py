@@ -30,7 +30,7 @@ def windows(sents: DataFrame) -> DataFrame:
 def adjacent_weights(sents: DataFrame, model: NgramModel) -> DataFrame:
     """The largest of the one-step, two-step and backward two-step transition
     probabilities, times the standardised log count of the pair; what is not in
-    the model counts as 0."""
+    the model, or of a null language, counts as 0."""
     win = windows(sents)
     kinds = win.select("lang", "o", "a", "b", "x").distinct()
     two = model.bi.select("lang", "a", "b", "p1", "z")
@@ -39,7 +39,7 @@ def adjacent_weights(sents: DataFrame, model: NgramModel) -> DataFrame:
     p = F.greatest(*[F.coalesce(c, F.lit(0.0)) for c in ("p1", "f2", "b2")])
     weighed = (kinds.join(two, ["lang", "a", "b"], "left").join(before, ["lang", "o", "a", "b"], "left").join(behind, ["lang", "a", "b", "x"], "left")
                .select("lang", "o", "a", "b", "x", (p * F.coalesce("z", F.lit(0.0))).alias("w")))
-    return win.join(weighed, ["lang", "o", "a", "b", "x"]).select("sent_id", "lang", "i", "a", "b", "w")
+    return win.join(weighed, ["lang", "o", "a", "b", "x"], "left").select("sent_id", "lang", "i", "a", "b", F.coalesce("w", F.lit(0.0)).alias("w"))
 
 
 def skip_weights(sents: DataFrame, model: NgramModel) -> DataFrame:
@@ -93,6 +93,25 @@ def boost(edges: DataFrame, words: DataFrame, factor: float = 20.0, max_rank: in
     return out.withColumn("w", F.when(F.col("boosted"), F.col("w") * factor).otherwise(F.col("w"))).select(*edges.columns, "boosted")
 
 
+def boost_in_place(edges: DataFrame, sents: DataFrame, words: DataFrame, factor: float = 20.0, max_rank: int | None = None) -> DataFrame:
+    """Multiply pairs inside a word that stands at this very place of the
+    sentence; adds ``boosted``.
+
+    A sentence gives its substrings of the lengths that a word of two symbols or
+    more has; a substring that is a word boosts the pairs it covers.
+    """
+    if max_rank is not None:
+        words = words.where(F.col("rank") < max_rank)
+    known = words.where(F.length("word") >= 2).select("lang", "word").distinct()
+    lengths = known.groupBy("lang").agg(F.collect_set(F.length("word")).alias("_lengths"))  # a few numbers a language
+    held = sents.join(F.broadcast(lengths), "lang").withColumn("m", F.explode("_lengths")).where(F.col("m") <= F.length("s"))
+    starts = held.select("sent_id", "lang", "m", "s", F.explode(F.sequence(F.lit(0), F.length("s") - F.col("m"))).alias("p"))
+    spans = starts.select("sent_id", "lang", "m", "p", F.substring("s", F.col("p") + 1, F.col("m")).alias("word")).join(known, ["lang", "word"], "left_semi")
+    inside = spans.select("sent_id", F.explode(F.sequence(F.col("p"), F.col("p") + F.col("m") - 2)).alias("i")).distinct().withColumn("_in", F.lit(True))
+    out = edges.join(inside, ["sent_id", "i"], "left").withColumn("boosted", F.coalesce("_in", F.lit(False)))
+    return out.withColumn("w", F.when(F.col("boosted"), F.col("w") * factor).otherwise(F.col("w"))).select(*edges.columns, "boosted")
+
+
 def _divide(edges: DataFrame, singles: DataFrame, skip_boosted: bool) -> DataFrame:
     """Divide by the larger divisor of the two ends; ``singles``: lang, ch, d."""
     out = edges

@@ -11,6 +11,11 @@ from pyspark.sql import DataFrame, Window as W, functions as F
 from cutseg.functions import kernels as K
 from cutseg.functions.units import symbols
 from cutseg.operators.laplacian import cut_words
+from cutseg.operators.segment import with_results
+
+
+#: By how much an entropy must be above the one before it to count as a rise.
+RISE = 1e-9
 
 
 def successor_entropy(bi: DataFrame, direction: str = "forward") -> DataFrame:
@@ -52,12 +57,22 @@ def entropy_segment(sents: DataFrame, bi: DataFrame, *, mode: str = "threshold",
         hit = F.lit(False)
         for way in tests:
             at, step = (i, i - 1) if way == "forward" else (i + 1, i + 2)
-            hit = hit | (h(way, at) > theta if mode == "threshold" else (h(way, at) > h(way, step)))
+            # a rise is more than the rounding error of two sums in different orders
+            hit = hit | (h(way, at) > theta if mode == "threshold" else (h(way, at) > h(way, step) + RISE))
         return hit
 
     return out.withColumn("words", cut_words(F.col("s"), is_cut)).select("sent_id", "lang", "s", "words")
 
 
+def pair_entropy_segment(sents: DataFrame, tri: DataFrame, theta: float = 2.0) -> DataFrame:
+    """Boundary where the entropy behind the last two symbols is above theta; a
+    pair that the model lacks has none."""
+    from cutseg.operators.affinity import windows
+    h = context_entropy(tri).select("lang", F.col("a").alias("o"), F.col("b").alias("a"), "h")
+    edges = windows(sents).join(h, ["lang", "o", "a"], "left").select("sent_id", "i", (-F.coalesce("h", F.lit(0.0))).alias("w"))
+    return threshold_segment(edges, sents, -theta)
+
+
 def threshold_segment(edges: DataFrame, sents: DataFrame, tau: float) -> DataFrame:
     """Boundary where the adjacent weight is below tau; no spectrum."""
     flags = edges.groupBy("sent_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", (F.col("w") < tau).alias("cut")))), lambda e: e["cut"]).alias("cuts"))
@@ -95,15 +110,16 @@ def _by_words(sents: DataFrame, words: DataFrame, split_one) -> DataFrame:
             yield pd.DataFrame({"lang": f["lang"], "s": f["s"], "words": out})
 
     tasks = 2 * sents.sparkSession.sparkContext.defaultParallelism
-    done = sents.select("lang", "s").repartition(tasks, "lang", "s").distinct().mapInPandas(run, "lang string, s string, words array<string>")
-    return sents.select("sent_id", "lang", "s").join(done, ["lang", "s"]).select("sent_id", "lang", "s", "words")
+    distinct = sents.select("lang", "s").where("s is not null and s <> ''").repartition(tasks, "lang", "s").distinct()
+    done = distinct.mapInPandas(run, "lang string, s string, words array<string>")
+    return with_results(sents, done, {"words": F.array().cast("array<string>")})
 
 
-def likelihood_segment(sents: DataFrame, words: DataFrame, longest: int = 20) -> DataFrame:
+def likelihood_segment(sents: DataFrame, words: DataFrame) -> DataFrame:
     """The words with the largest product of unigram probabilities; an unknown
     symbol costs as much as a word seen a tenth of a time."""
     def ready(counts: dict):
-        total = sum(counts.values()) or 1
+        total, longest = sum(counts.values()) or 1, max(map(len, counts), default=1)
         log_p = {w: float(np.log(c / total)) for w, c in counts.items()}
         return lambda s: K.likelihood_split(s, log_p, longest, float(np.log(0.1 / total)))
     return _by_words(sents, words, ready)

@@ -18,9 +18,12 @@ def gold(sents: DataFrame) -> DataFrame:
 
 
 def paired(pred: DataFrame, truth: DataFrame, keep: tuple[str, ...] = ("lang",)) -> DataFrame:
-    """``sent_id, <keep>, p, g``: span arrays; sentences of both sides only."""
+    """``sent_id, <keep>, p, g``: span arrays of every sentence of the truth; one
+    without a prediction has no predicted span."""
     right = truth.select("sent_id", *keep, spans(F.col("words")).alias("g"))
-    return pred.select("sent_id", spans(F.col("words")).alias("p")).join(right, "sent_id")
+    left = pred.select(F.col("sent_id").alias("_id"), spans(F.col("words")).alias("p"))
+    rows = right.join(left, F.col("_id") == F.col("sent_id"), "left")
+    return rows.select("sent_id", *keep, F.coalesce("p", F.array().cast("array<bigint>")).alias("p"), "g")
 
 
 def _rates(tp, n_pred, n_gold) -> list:

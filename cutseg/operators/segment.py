@@ -7,7 +7,7 @@ joins, and only the spectral kernel runs in Python, on bands.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field, replace
 
 import numpy as np
@@ -55,13 +55,16 @@ class SegmentConfig:
 DOMAIN = SegmentConfig()
 LEXICON = SegmentConfig(form="sym", use_skip=False, divisors={}, boost=20.0, max_rank=25_000, singles="rank", cut=0.00035, postprocess=True)
 TRAINED = SegmentConfig(form="sym", use_skip=False, divisors={}, boost=20.0, singles="count", skip_boosted=False, cut=0.001, postprocess=True)
+#: For weights that are probabilities of a bond.
+LEARNED = SegmentConfig(form="sym", use_skip=False, divisors={}, decompose=True, cluster="contiguous", cut=0.05)
 DOMAIN_SCALE, LEXICON_SCALE, TRAINED_SCALE = (replace(c, decompose=True, cluster="contiguous") for c in (DOMAIN, LEXICON, TRAINED))
 
 
 def explain_segment(cfg: SegmentConfig, model_rows: int) -> list[str]:
     """What the plan does beyond the literal algorithm."""
     out = ["distinct sentences", "broadcast model" if model_rows <= BROADCAST_ROWS else "model joins on distinct windows"]
-    out += ["component decomposition"] * cfg.decompose + ["contiguous split"] * (cfg.cluster == "contiguous") + [f"sentences over {cfg.max_n} are split at the weakest edges"]
+    out += ["component decomposition"] * cfg.decompose + ["contiguous split"] * (cfg.cluster == "contiguous")
+    out += [f"sentences over {cfg.max_n}: k of the whole by inertia, clusters of parts between weak edges"]
     return out
 
 
@@ -185,6 +188,8 @@ def split_sentences(rows: list[tuple[str, np.ndarray, np.ndarray]], cfg: Segment
             k += own
             edges = [a, *(a + 1 + np.flatnonzero(np.diff(lab))).tolist(), b]
             words += [s[x:y] for x, y in zip(edges, edges[1:])]
+        if forced and not cfg.k and cfg.cut != "gap":  # the parts' numbers need not add up to the sentence's
+            k = K.inertia(*rows[r][1:], cfg.form, cfg.self_loop, cfg.cut)
         out.append((k, forced, K.join_numbers_dates(words) if cfg.postprocess else words))
     return out
 
@@ -207,34 +212,53 @@ def _collected(model: NgramModel, cfg: SegmentConfig, sets, words, singles) -> d
     return out
 
 
-def bands_by_joins(sents: DataFrame, model: NgramModel, cfg: SegmentConfig, sets=None, words=None, singles=None) -> DataFrame:
-    """The bands of each sentence from joins with the model's tables."""
+def bands_by_joins(sents: DataFrame, model: NgramModel, cfg: SegmentConfig, sets=None, words=None, singles=None, hook: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
+    """The bands of each sentence from joins with the model's tables.  ``hook``
+    gets the adjacent edges last (``sent_id, lang, i, a, b, w``) and may weigh
+    them anew from any context."""
     edges = affinity.adjacent_weights(sents, model)
     if sets is not None and cfg.divisors:
         edges = affinity.weaken(edges, sets, cfg.divisors)
     if cfg.boost and words is not None:
-        edges = affinity.boost(edges, words, cfg.boost, cfg.max_rank)
+        if cfg.match == "in_place":
+            edges = affinity.boost_in_place(edges, sents, words, cfg.boost, cfg.max_rank)
+        else:
+            edges = affinity.boost(edges, words, cfg.boost, cfg.max_rank)
     if cfg.singles and singles is not None:
         edges = edges if "boosted" in edges.columns else edges.withColumn("boosted", F.lit(False))
         if cfg.singles == "rank":
             edges = affinity.split_singles(edges, singles, cfg.floor, cfg.numer, cfg.skip_boosted)
         else:
             edges = affinity.split_singles_by_count(edges, singles.withColumnRenamed("ch", "word"), cfg.unit, cfg.skip_boosted)
+    edges = hook(edges) if hook else edges
     skip = affinity.skip_weights(sents, model) if cfg.use_skip else None
     if skip is not None and sets is not None and cfg.divisors:
         skip = affinity.block_skip(skip, sets)
     return affinity.to_bands(sents, edges, skip)
 
 
-def segment(sents: DataFrame, model: NgramModel, cfg: SegmentConfig, *, sets: DataFrame | None = None, words: DataFrame | None = None, singles: DataFrame | None = None, strategy: str | None = None) -> DataFrame:
+def with_results(sents: DataFrame, done: DataFrame, empty: dict) -> DataFrame:
+    """``sent_id, lang, s`` of every sentence with the columns of ``done``, which
+    is unique in (lang, s); ``empty`` gives those of null and empty sentences."""
+    found = done.select(F.col("lang").alias("_lang"), F.col("s").alias("_s"), *empty)
+    same = F.col("_lang").eqNullSafe(F.col("lang")) & (F.col("_s") == F.col("s"))
+    rows = sents.select("sent_id", "lang", "s").join(found, same, "left")
+    return rows.select("sent_id", "lang", "s", *[F.coalesce(c, value).alias(c) for c, value in empty.items()])
+
+
+def segment(sents: DataFrame, model: NgramModel, cfg: SegmentConfig, *, sets: DataFrame | None = None, words: DataFrame | None = None, singles: DataFrame | None = None, strategy: str | None = None, hook: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
     """``sent_id, lang, s, k, forced, words`` for each sentence.
 
     ``sets``: lang, ch, set_id; ``words``: lang, word, rank (or cnt);
     ``singles``: lang, ch, rank or cnt.  A language without a model has zero
-    edges: every symbol is a component.  Sentences over ``max_n`` symbols are
-    split at zero edges, else at weak ones (``forced``).
+    edges: every symbol is a component.  Of a sentence over ``max_n`` symbols
+    ``k`` is that of the whole, and parts between zero edges, else weak ones
+    (``forced``), are clustered each for itself; a null language is a language like any
+    other, without a model.  Null and empty sentences have no words and k = 0.
     """
     spark = sents.sparkSession
+    if hook is not None:
+        strategy = "join"
     if strategy is None:
         rows = model.tri.limit(BROADCAST_ROWS + 1).count() + (words.limit(BROADCAST_ROWS + 1).count() if words is not None else 0)
         strategy = "broadcast" if rows <= BROADCAST_ROWS else "join"
@@ -258,8 +282,8 @@ def segment(sents: DataFrame, model: NgramModel, cfg: SegmentConfig, *, sets: Da
 
         done = distinct.mapInPandas(run, _OUT)
     else:
-        keyed = distinct.withColumn("sent_id", F.sha2(F.concat_ws("|", "lang", "s"), 256)).withColumn("n", F.length("s"))
-        bands = bands_by_joins(keyed, model, cfg, sets, words, singles).select("lang", "s", "adj", "skip")
+        keyed = distinct.withColumn("sent_id", F.sha2(F.concat_ws("|", F.coalesce("lang", F.lit("")), F.col("lang").isNull().cast("string"), "s"), 256)).withColumn("n", F.length("s"))
+        bands = bands_by_joins(keyed, model, cfg, sets, words, singles, hook).select("lang", "s", "adj", "skip")
 
         def run_bands(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             for f in frames:
@@ -268,4 +292,4 @@ def segment(sents: DataFrame, model: NgramModel, cfg: SegmentConfig, *, sets: Da
                 yield pd.DataFrame({"lang": f["lang"], "s": f["s"], "k": list(k), "forced": list(forced), "words": list(words_)})
 
         done = bands.mapInPandas(run_bands, _OUT)
-    return sents.select("sent_id", "lang", "s").join(done, ["lang", "s"]).select("sent_id", "lang", "s", "k", "forced", "words")
+    return with_results(sents, done, {"k": F.lit(0), "forced": F.lit(False), "words": F.array().cast("array<string>")})

@@ -5,15 +5,19 @@ Everything is written once in a session's scratch folder and read from there.
 
 from __future__ import annotations
 
+from dataclasses import replace
 from functools import cached_property
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from cutseg.functions import units
-from cutseg.operators import corpus as C
+from cutseg.operators import corpus as C, metrics as M, segment as S
+from cutseg.operators.learned import LearnedWeights
 from cutseg.plans.workspace import Workspace
 from cutseg.sources import tables
 
+#: Cuts among which the dev sources choose, beside the printed one.
+DEV_CUTS = (0.02, 0.1, 0.3, 0.6)
 _HELD: dict[tuple[str, str], "Context"] = {}
 
 
@@ -26,6 +30,7 @@ def context(spark: SparkSession, sf_dir: str) -> "Context":
 
 class Context:
     def __init__(self, spark: SparkSession, sf_dir: str):
+        self._dev: dict[str, list[tuple[float, float]]] = {}
         self.spark, self.dir, self.ws = spark, sf_dir, Workspace(spark, "context")
 
     def table(self, name: str) -> DataFrame:
@@ -65,8 +70,8 @@ class Context:
 
     @cached_property
     def conversations(self) -> DataFrame:
-        turns = self.table("conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("doc_id"), "text", F.lit("en").alias("lang"))
-        return self.ws.table(units.sentences(turns, keep=("lang",)), "sents-conversations")
+        turns = self.table("conversations").select(F.concat_ws("/", F.col("conv_id").cast("string"), F.col("turn").cast("string")).alias("doc_id"), "conv_id", "turn", "text", F.lit("en").alias("lang"))
+        return self.ws.table(units.sentences(turns, keep=("lang", "conv_id", "turn")), "sents-conversations")
 
     @cached_property
     def grams(self) -> dict[int, DataFrame]:
@@ -103,6 +108,27 @@ class Context:
     def sets(self) -> DataFrame:
         return self.ws.table(C.weakening_sets(self.words, self.grams[1]), "sets")
 
+    @cached_property
+    def learned(self) -> LearnedWeights:
+        return LearnedWeights(self.train, self.model, self.words)
+
+    def dev_scores(self, method: str) -> list[tuple[float, float]]:
+        """Cuts with the pooled F of a method on the dev sources."""
+        if method not in self._dev:
+            cfg = {"lexicon": replace(S.LEXICON, max_rank=self.boost_rank), "trained": S.TRAINED, "learned": S.LEARNED}[method]
+            given = {"lexicon": {"words": self.lexicon, "singles": self.singles}, "trained": {"words": self.words, "singles": self.singles},
+                     "learned": {"hook": self.learned.weigh} if method == "learned" else {}}[method]
+            truth, out = M.gold(self.dev).withColumn("all", F.lit(1)), []
+            for cut in sorted({cfg.cut, *DEV_CUTS}):
+                scored = M.score_words(S.segment(self.dev, self.model, replace(cfg, cut=cut), **given), truth, by=("all",)).first()
+                out.append((cut, float(scored["f1"] or 0.0) if scored else 0.0))
+            self._dev[method] = out
+        return self._dev[method]
+
+    def cut_of(self, method: str) -> float:
+        """The cut with the best F on the dev sources, of equal ones the least."""
+        return max(self.dev_scores(method), key=lambda r: (r[1], -r[0]))[0]
+
     @cached_property
     def singles(self) -> DataFrame:
         """One-character words: lang, ch, rank, cnt."""

@@ -124,15 +124,25 @@ for key, form, cols in (("laplacian_plain", "plain", ("l0", "l1", "l2")), ("lapl
             "sent_id", F.col("i").cast("long").alias("i"), *[(F.round(v, 6) + 0.0).alias(m) for v, m in ((F.col("v"), "m0"), (F.coalesce(F.get("l1", F.col("i")), F.lit(0.0)), "m1"), (F.coalesce(F.get("l2", F.col("i")), F.lit(0.0)), "m2"))]))
 
 
-def _count_sql(cols: tuple[str, str, str], cuts: list[float]) -> str:
+def _count_sql(cols: tuple[str, str, str], cuts: list[float], bands: str = "", *names: str) -> str:
+    """Eigenvalues within cuts, by a recursion over rows; ``bands`` defines
+    ``pbands`` where it is not that of the part names."""
     m0, m1, m2 = cols
-    return sql(f"""+{_LAP}, cuts as (select unnest({cuts}::double[]) as cut),
+    return sql(f"""+{bands}{_LAP}, cuts as (select unnest({cuts}::double[]) as cut),
 mat as (select sent_id, n, i, {m0} as m0, {m1} as m1, {m2} as m2 from lap),
 run as (select sent_id, cut, 0::bigint as i, 0.0::double as d1, 0.0::double as p1, 0.0::double as q1, 0.0::double as d2, 0.0::double as q2, 0::bigint as k, cut * (1 + 1e-12) + 1e-13 as x from (select distinct sent_id from mat), cuts
   union all select sent_id, cut, i, d, (m1 - p1 * q1 * d1) / d, m2 / d, d1, q1, k + (d < 0)::int, x
   from (select r.sent_id, r.cut, m.i, m.m1, m.m2, r.p1, r.q1, r.d1, r.k, r.x, case when m.m0 - r.x - r.p1 * r.p1 * r.d1 - r.q2 * r.q2 * r.d2 = 0 then 1e-300 else m.m0 - r.x - r.p1 * r.p1 * r.d1 - r.q2 * r.q2 * r.d2 end as d
     from run r join mat m on m.sent_id = r.sent_id and m.i = r.i + 1))
-select sent_id, cut, max_by(k, i) as k from run group by sent_id, cut""", "pbands", recursive=True)
+select sent_id, cut, max_by(k, i) as k from run group by sent_id, cut""", *(names or ("pbands",)), recursive=True)
+
+
+def _bench_bands(edge: str, joins: str, skip: str | None) -> str:
+    """``pbands`` of the benchmark sentences with an expression for each weight."""
+    skips = (f"left join (select e.sent_id, list({skip} order by e.i) as sk from bskips e {_BY_SET} group by e.sent_id) k using (sent_id)" if skip else "")
+    held = "coalesce(any_value(k.sk), [])" if skip else "[]::double[]"
+    return f"""pbands as (select p.sent_id, length(p.s)::bigint as n, coalesce(list(b.w order by b.i) filter (b.i is not null), []) as adj, {held} as skip
+  from bench p left join (select e.sent_id, e.i, {edge} as w from bedges e {joins}) b using (sent_id) {skips} group by p.sent_id, p.s), """
 
 
 def _curve(bands: DataFrame, form: str, cuts: list[float]) -> DataFrame:
@@ -147,6 +157,26 @@ query("zero_multiplicity", sql("""select t.sent_id, 1 + coalesce(sum((e.w = 0)::
     lambda x: L.components(A.to_bands(x.test, A.adjacent_weights(x.test, x.model), A.skip_weights(x.test, x.model))).select("sent_id", F.col("n_components").cast("long").alias("n_components")))
 
 
+#: The cuts of the printed runs of the domain method, and of the two methods with dictionaries.
+PRINTED_CUTS = [0.1, 0.15, 1.0, 2.0]
+_SINGLE = "(p.ch is not null or q.ch is not null)"
+_RANKED = f"{_BOOST} / case when t.a is null and {_SINGLE} then greatest(20.0, ln(1e6 / least(coalesce(p.rank, q.rank), coalesce(q.rank, p.rank)))) else 1.0 end"
+_COUNTED = f"{_BOOST} / greatest(1.0, coalesce(p.cnt, 0) / 250.0, coalesce(q.cnt, 0) / 250.0)"
+
+
+def _bench_curve(x, cfg: S.SegmentConfig, cuts: list[float], **given) -> DataFrame:
+    return _curve(S.bands_by_joins(x.benchmark, x.model, cfg, **given), cfg.form, cuts)
+
+
+query("k_domain_printed", _count_sql(("l0", "l1", "l2"), PRINTED_CUTS, _bench_bands(_WEAK, _BY_SET, "case when coalesce(list_has_any(h2, [e.a, e.b, e.c]), false) then 0 else e.w end"),
+                                     "bedges", "bskips", "sets"))(
+    lambda x: _bench_curve(x, S.DOMAIN, PRINTED_CUTS, sets=x.sets))
+query("k_lexicon_printed", _count_sql(("y0", "y1", "y2"), [S.LEXICON.cut], _bench_bands(_RANKED, f"{_IN('top_inside')} {_ENDS}", None), "bedges", "top_inside", "singles"))(
+    lambda x: _bench_curve(x, replace(S.LEXICON, max_rank=x.boost_rank), [S.LEXICON.cut], words=x.lexicon, singles=x.singles))
+query("k_trained_printed", _count_sql(("y0", "y1", "y2"), [S.TRAINED.cut], _bench_bands(_COUNTED, f"{_IN('inside')} {_ENDS}", None), "bedges", "inside", "singles"))(
+    lambda x: _bench_curve(x, S.TRAINED, [S.TRAINED.cut], words=x.words, singles=x.singles))
+
+
 @query("spectrum")
 def _spectrum(x) -> DataFrame:
     """All eigenvalues of each part name's Laplacians, ascending."""
@@ -232,12 +262,20 @@ def predictions(x, method: str, sents: DataFrame | None = None) -> DataFrame:
     ranked_ = lambda cfg: S.segment(sents, x.model, replace(cfg, max_rank=x.boost_rank), words=x.lexicon, singles=x.singles)
     trained = lambda cfg: S.segment(sents, x.model, cfg, words=x.words, singles=x.singles)
     table = {
+        **{f"domain_{c}": lambda c=c: domain(replace(S.DOMAIN, cut=c)) for c in PRINTED_CUTS},
+        "domain_soft": lambda: S.segment(sents, x.model, replace(S.DOMAIN, cut=0.3), sets=x.sets.where("set_id = 1")),
+        "domain_hard": lambda: S.segment(sents, x.model, replace(S.DOMAIN, cut=0.3), sets=x.sets.where("set_id = 2")),
+        "domain_hook": lambda: S.segment(sents, x.model, replace(S.DOMAIN_SCALE, cut=0.3), sets=x.sets, hook=lambda edges: entropy_hook(edges, x.model)),
+        "learned": lambda: S.segment(sents, x.model, replace(S.LEARNED, cut=x.cut_of("learned")), hook=x.learned.weigh),
+        "entropy_order2": lambda: B.pair_entropy_segment(sents, x.model.tri),
         "domain": lambda: domain(replace(S.DOMAIN, cut=0.3)), "domain_no_sets": lambda: S.segment(sents, x.model, replace(S.DOMAIN, cut=0.3)),
         "domain_scale": lambda: domain(replace(S.DOMAIN_SCALE, cut=0.3)), "domain_pp": lambda: domain(replace(S.DOMAIN, cut=0.3, init="pp", jitter=0.001)),
         "domain_sym": lambda: domain(replace(S.DOMAIN, form="sym", cut=0.1)), "domain_no_skip": lambda: domain(replace(S.DOMAIN, use_skip=False, cut=0.3)),
         "domain_gap": lambda: domain(replace(S.DOMAIN, cut="gap")),
-        "lexicon": lambda: ranked_(S.LEXICON), "lexicon_dev": lambda: ranked_(replace(S.LEXICON, cut=0.05)), "lexicon_in_place": lambda: ranked_(replace(S.LEXICON_SCALE, match="in_place", cut=0.05)),
-        "trained": lambda: trained(S.TRAINED), "trained_dev": lambda: trained(replace(S.TRAINED, cut=0.05)), "trained_in_place": lambda: trained(replace(S.TRAINED_SCALE, match="in_place", cut=0.05)),
+        "lexicon": lambda: ranked_(S.LEXICON), "lexicon_dev": lambda: ranked_(replace(S.LEXICON, cut=x.cut_of("lexicon"))),
+        "lexicon_in_place": lambda: ranked_(replace(S.LEXICON_SCALE, match="in_place", cut=x.cut_of("lexicon"))),
+        "trained": lambda: trained(S.TRAINED), "trained_dev": lambda: trained(replace(S.TRAINED, cut=x.cut_of("trained"))),
+        "trained_in_place": lambda: trained(replace(S.TRAINED_SCALE, match="in_place", cut=x.cut_of("trained"))),
         "entropy": lambda: B.entropy_segment(sents, x.model.bi, theta=2.5), "entropy_rise": lambda: B.entropy_segment(sents, x.model.bi, mode="rise"),
         "entropy_both": lambda: B.entropy_segment(sents, x.model.bi, direction="both", theta=2.5),
         "likelihood": lambda: B.likelihood_segment(sents, x.words), "longest": lambda: B.match_segment(sents, x.words), "longest_back": lambda: B.match_segment(sents, x.words, backward=True),
@@ -248,13 +286,8 @@ def predictions(x, method: str, sents: DataFrame | None = None) -> DataFrame:
     return table[method]()
 
 
-def _flat(words: DataFrame) -> DataFrame:
-    return words.select("sent_id", "lang", F.array_join("words", " ").alias("words"), F.size("words").cast("long").alias("n_words"))
-
-
-for key, method in (("segment_domain", "domain"), ("segment_domain_scale", "domain_scale"), ("kmeans_pp", "domain_pp"), ("segment_lexicon", "lexicon"), ("segment_trained", "trained"),
-                    ("segment_in_place", "trained_in_place"), ("adaptive_cut", "domain_gap"), ("max_likelihood", "likelihood"), ("long_match", "longest"), ("long_match_back", "longest_back")):
-    query(key)(lambda x, method=method: _flat(predictions(x, method)))
+_H = "select lang, {k} as ch, sum(-p * ln(p)) as h from (select lang, a, b, cnt / sum(cnt) over (partition by lang, {k}) as p from bi) group by all"
+_H_A = _H.format(k="a")
 
 
 def _cut_sql(test: str, extra: str, *names: str) -> str:
@@ -264,13 +297,35 @@ spans as (select sent_id, lang, s, e, coalesce(lag(e) over (partition by sent_id
 select sent_id, lang, string_agg(substr(s, a + 1, e - a), ' ' order by e) as words, count(*) as n_words from spans group by sent_id, lang""", "test", *names)
 
 
+def entropy_hook(edges: DataFrame, model: C.NgramModel) -> DataFrame:
+    """A context-dependent weight: divided by 1 plus the entropy of what
+    follows the left symbol."""
+    h = B.successor_entropy(model.bi).select("lang", F.col("ch").alias("a"), "h")
+    return edges.join(h, ["lang", "a"], "left").withColumn("w", F.col("w") / (1 + F.coalesce("h", F.lit(0.0)))).select(*edges.columns)
+
+
+query("weight_hook", sql(_summed_sql("e.w / (1 + coalesce(h.h, 0))", f"edges e left join ({_H_A}) h on h.lang = e.lang and h.ch = e.a"), "edges", "bi"))(
+    lambda x: _summed(entropy_hook(A.adjacent_weights(x.test, x.model), x.model)))
+query("entropy_order2", _cut_sql("e.h > 2.0", "select w.sent_id, w.i, h.h from win w join (select lang, a, b, sum(-p * ln(p)) as h from (select lang, a, b, cnt / sum(cnt) over (partition by lang, a, b) as p from tri) group by all) h"
+                                 " on h.lang = w.lang and h.a = w.o and h.b = w.a", "win", "tri"))(lambda x: _flat(predictions(x, "entropy_order2")))
+query("cuts_chosen_on_dev")(lambda x: x.spark.createDataFrame([(m, c, f) for m in ("lexicon", "trained") for c, f in x.dev_scores(m)], "method string, cut double, f1 double"))
+
+
+def _flat(words: DataFrame) -> DataFrame:
+    return words.select("sent_id", "lang", F.array_join("words", " ").alias("words"), F.size("words").cast("long").alias("n_words"))
+
+
+for key, method in (("segment_domain", "domain"), *((f"segment_domain_cut_{str(c).replace('.', '_')}", f"domain_{c}") for c in PRINTED_CUTS), ("segment_learned", "learned"), ("segment_hook", "domain_hook"), ("segment_domain_scale", "domain_scale"), ("kmeans_pp", "domain_pp"), ("segment_lexicon", "lexicon"), ("segment_trained", "trained"),
+                    ("segment_in_place", "trained_in_place"), ("adaptive_cut", "domain_gap"), ("max_likelihood", "likelihood"), ("long_match", "longest"), ("long_match_back", "longest_back")):
+    query(key)(lambda x, method=method: _flat(predictions(x, method)))
+
+
 query("weight_threshold", _cut_sql("e.w < 0.5", "select * from edges", "edges"))(lambda x: _flat(predictions(x, "threshold")))
 query("components_only", _cut_sql("e.w = 0", "select * from edges", "edges"))(lambda x: _flat(predictions(x, "components")))
-_H = "select lang, {k} as ch, sum(-p * ln(p)) as h from (select lang, a, b, cnt / sum(cnt) over (partition by lang, {k}) as p from bi) group by all"
 query("entropy_boundary", _cut_sql("e.h > 2.5", f"select w.sent_id, w.i, h.h from win w join ({_H.format(k='a')}) h on h.lang = w.lang and h.ch = w.a", "win", "bi"))(lambda x: _flat(predictions(x, "entropy")))
 query("entropy_both", _cut_sql("e.h > 2.5 or e.k > 2.5", f"select w.sent_id, w.i, coalesce(h.h, 0) as h, coalesce(k.h, 0) as k from win w left join ({_H.format(k='a')}) h on h.lang = w.lang and h.ch = w.a left join ({_H.format(k='b')}) k on k.lang = w.lang and k.ch = w.b", "win", "bi"))(
     lambda x: _flat(predictions(x, "entropy_both")))
-query("entropy_rise", _cut_sql("e.h > coalesce(e.g, 0)", f"select w.sent_id, w.i, coalesce(h.h, 0) as h, g.h as g from win w left join ({_H.format(k='a')}) h on h.lang = w.lang and h.ch = w.a left join ({_H.format(k='a')}) g on g.lang = w.lang and g.ch = w.o", "win", "bi"))(
+query("entropy_rise", _cut_sql("e.h > coalesce(e.g, 0) + 1e-9", f"select w.sent_id, w.i, coalesce(h.h, 0) as h, g.h as g from win w left join ({_H.format(k='a')}) h on h.lang = w.lang and h.ch = w.a left join ({_H.format(k='a')}) g on g.lang = w.lang and g.ch = w.o", "win", "bi"))(
     lambda x: _flat(predictions(x, "entropy_rise")))
 query("every_char", sql("select sent_id, lang, array_to_string(string_split(s, ''), ' ') as words, length(s) as n_words from test", "test"))(lambda x: _flat(predictions(x, "chars")))
 query("whole_sentence", sql("select sent_id, lang, s as words, 1::bigint as n_words from test", "test"))(lambda x: _flat(predictions(x, "one")))

@@ -78,6 +78,7 @@ CTE: dict[str, tuple[str, tuple[str, ...]]] = {
     "inside": ("inside as (select distinct lang, substr(word, i, 1) as a, substr(word, i + 1, 1) as b from (select lang, word, unnest(range(1, length(word))) as i from words))", ("words",)),
     "top_inside": ("top_inside as (select distinct lang, substr(word, i, 1) as a, substr(word, i + 1, 1) as b from (select lang, word, unnest(range(1, length(word))) as i from lexicon"
                    " where rank < (select greatest(2, floor(max(rank) * 25000 / 56064)) from lexicon)))", ("lexicon",)),
+    "bwin": (_windows("bwin", "bench"), ("bench",)), "bedges": (_edges("bedges", "bwin", "bi", "tri"), ("bwin", "bi", "tri")), "bskips": (_skips("bskips", "bwin", "tri"), ("bwin", "tri")),
     "pbands": ("pbands as (select p.sent_id, length(p.s)::bigint as n, list(e.w order by e.i) as adj, coalesce(any_value(k.sk), []) as skip from part_names p join pedges e using (sent_id)"
                " left join (select sent_id, list(w order by i) as sk from pskips group by sent_id) k using (sent_id) group by p.sent_id, p.s)", ("pedges", "pskips")),
 }

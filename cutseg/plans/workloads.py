@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, Window as W, functions as F
 from cutseg.functions import units
 from cutseg.operators import affinity as A, graph as G, laplacian as L, metrics as M, segment as S
 from cutseg.operators.corpus import fit_model
-from cutseg.plans.methods import CUTS, _curve, _part_bands, predictions, query, r6, _round_scores
+from cutseg.plans.methods import CUTS, PRINTED_CUTS, _curve, _part_bands, predictions, query, r6, _round_scores
 from cutseg.plans.twins import sql
 from cutseg.sources import tables
 
@@ -56,7 +56,8 @@ def _x3(x) -> DataFrame:
 
 query("x4_x5_dictionaries")(lambda x: grid(x, ["lexicon", "lexicon_dev", "lexicon_in_place", "trained", "trained_dev", "trained_in_place"]))
 query("x5_benchmark")(lambda x: grid(x, ["lexicon_dev", "trained_dev", "trained_in_place", "likelihood"], x.benchmark))
-query("x7_weakening")(lambda x: grid(x, ["domain_no_sets", "domain", "domain_scale"]))
+query("x7_weakening")(lambda x: grid(x, ["domain_no_sets", "domain_soft", "domain_hard", "domain", "domain_scale"]))
+query("x1_printed_cuts")(lambda x: grid(x, [f"domain_{c}" for c in PRINTED_CUTS]))
 query("x9_forms")(lambda x: grid(x, ["domain", "domain_sym", "domain_no_skip"]))
 query("x12_x13_baselines")(lambda x: grid(x, ["domain_scale", "trained_in_place", "entropy", "entropy_rise", "likelihood", "longest", "threshold", "chars", "one", "tagger"]))
 query("f_gain")(lambda x: M.compare(grid(x, ["lexicon_dev", "trained_dev"]), "lexicon_dev").select("method", "lang", "f1", r6("f_gain", "f_gain")))
@@ -85,8 +86,8 @@ def _x14(x) -> DataFrame:
 @query("x15_chat_shift")
 def _x15(x) -> DataFrame:
     """Chat segmented with the document model and with a model of other chats."""
-    own = fit_model(x.conversations.where("doc_id % 2 = 0"))
-    odd = x.conversations.where("doc_id % 2 = 1")
+    own = fit_model(x.conversations.where("conv_id % 2 = 0"))
+    odd = x.conversations.where("conv_id % 2 = 1")
     cfg = replace(S.DOMAIN_SCALE, cut=0.3)
     truth = M.gold(odd)
     return _round_scores(_union([_named(M.score_words(S.segment(odd, m, cfg), truth), model=name) for name, m in (("documents", x.model), ("chat", own))]))

@@ -1,11 +1,14 @@
 """The exact toy corpus: counts, probabilities, weights and spectra by hand."""
 
+from dataclasses import replace
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from cutseg.functions import kernels as K, units
 from cutseg.operators import affinity as A, baselines as B, corpus as C, laplacian as L, metrics as M, segment as S
+from cutseg.operators.learned import LearnedWeights
 
 CORPUS = ["abcab", "abd", "cab", "dab", "bcab", "ab"]
 
@@ -67,12 +70,48 @@ def test_both_strategies_agree(toy, spark):
     sets = spark.createDataFrame([("xx", "c", 1), ("xx", "d", 2)], "lang string, ch string, set_id int")
     words = spark.createDataFrame([("xx", "ab", 1, 30), ("xx", "ca", 2, 20), ("xx", "d", 3, 600)], "lang string, word string, rank int, cnt long")
     singles = spark.createDataFrame([("xx", "d", 3, 600)], "lang string, ch string, rank int, cnt long")
-    for cfg, kw in ((S.DOMAIN, {"sets": sets}), (S.LEXICON, {"words": words, "singles": singles}), (S.TRAINED, {"words": words, "singles": singles}), (S.DOMAIN_SCALE, {"sets": sets})):
+    in_place = replace(S.TRAINED_SCALE, match="in_place", cut=0.3)
+    for cfg, kw in ((S.DOMAIN, {"sets": sets}), (S.LEXICON, {"words": words, "singles": singles}), (S.TRAINED, {"words": words, "singles": singles}), (S.DOMAIN_SCALE, {"sets": sets}),
+                    (replace(S.LEXICON_SCALE, max_rank=2), {"words": words, "singles": singles}), (S.TRAINED_SCALE, {"words": words, "singles": singles}),
+                    (in_place, {"words": words, "singles": singles}), (replace(S.DOMAIN, cut="gap"), {"sets": sets})):
         a, b = (sorted(map(tuple, ((r["sent_id"], r["k"], tuple(r["words"])) for r in S.segment(sents, model, cfg, strategy=how, **kw).collect()))) for how in ("broadcast", "join"))
         assert a == b and len(a) == len(CORPUS)
         assert all("".join(w) == CORPUS[int(i)] for i, _, w in a)
 
 
+def test_no_sentence_is_lost(toy, spark):
+    _, model = toy
+    rows = [("1", None, "abcab"), ("2", "xx", "abcab"), ("3", "xx", ""), ("4", "xx", None), ("5", "xx", "ab" * 400), ("6", "yy", "ab"), ("7", None, "")]
+    sents = spark.createDataFrame(rows, "sent_id string, lang string, s string").withColumn("n", F.length("s"))
+    words = spark.createDataFrame([("xx", "ab", 1, 30), ("xx", "cab", 2, 20)], "lang string, word string, rank int, cnt long")
+    for cfg in (S.DOMAIN, S.LEXICON_SCALE, replace(S.TRAINED_SCALE, match="in_place")):
+        both = [{r["sent_id"]: (r["k"], r["words"]) for r in S.segment(sents, model, cfg, words=words, strategy=how).collect()} for how in ("broadcast", "join")]
+        assert both[0] == both[1] and set(both[0]) == {str(i) for i in range(1, 8)}
+        assert both[0]["1"] == (5, list("abcab")) and both[0]["3"] == both[0]["4"] == both[0]["7"] == (0, [])
+    for found in (B.match_segment(sents, words), B.likelihood_segment(sents, words)):
+        got = {r["sent_id"]: r["words"] for r in found.collect()}
+        assert got["1"] == list("abcab") and got["6"] == ["a", "b"] and got["3"] == [] and "".join(got["2"]) == "abcab"
+
+
+def test_gold_without_prediction_counts(spark):
+    truth = spark.createDataFrame([("1", "xx", ["ab", "c"]), ("2", "xx", ["d"])], "sent_id string, lang string, words array<string>")
+    got = M.score_words(truth.where("sent_id = '1'"), truth).first()
+    assert (got["tp"], got["n_pred"], got["n_gold"]) == (2, 2, 3)
+
+
+def test_learned_weights_and_hook(toy, spark):
+    sents, model = toy
+    raw = sents.withColumn("raw", F.concat_ws(" ", F.substring("s", 1, 2), F.expr("substring(s, 3)")))
+    words = spark.createDataFrame([("xx", "ab", 3)], "lang string, word string, cnt long")
+    learned = LearnedWeights(raw, model, words)
+    edges = learned.weigh(A.adjacent_weights(sents, model)).collect()
+    mean = lambda inside: np.mean([e["w"] for e in edges if (e["a"] + e["b"] == "ab") == inside])
+    assert all(0 <= e["w"] <= 1 for e in edges) and mean(True) > mean(False)
+    none = S.segment(sents, model, S.DOMAIN, hook=lambda e: e.withColumn("w", F.lit(0.0)))
+    assert {len(r["words"]) - len(r["s"]) for r in S.segment(sents, model, replace(S.DOMAIN, use_skip=False), hook=lambda e: e.withColumn("w", F.lit(0.0))).collect()} == {0}
+    assert none.count() == len(CORPUS)
+
+
 def test_special_sentences(toy, spark):
     _, model = toy
     odd = ["a", "zz", "....", "a" * 50, "ab.ab", "𝒳ab", "abc" * 400]

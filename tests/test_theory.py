@@ -35,6 +35,33 @@ def test_inertia_counts_eigenvalues(bands, form):
             assert r["k"] == (v <= r["cut"]).sum()
 
 
+@pytest.mark.parametrize("form", ["plain", "sym"])
+@pytest.mark.parametrize("n", [1, 2, 3, 5, 30, 700])
+def test_inertia_of_one_sentence(form, n):
+    adj, skip = random_bands(n, n)
+    v = np.linalg.eigvalsh(K.laplacians(adj[None], skip[None], form)[0])
+    for cut in (0.05, 0.31, 0.9, 2.3):
+        assert K.inertia(adj, skip, form, 1.0, cut) == max(1, (v <= cut).sum())
+    if n == 700:  # over the largest part that is clustered as a whole: k is still that of the sentence
+        k, _, words = S.split_sentences([("a" * n, adj, skip)], S.SegmentConfig(form=form, cut=0.31, max_n=64, cluster="contiguous"))[0]
+        assert k == (v <= 0.31).sum() and len("".join(words)) == n
+
+
+def brute_kmeans(u, k):
+    """Least squared distance over all labellings."""
+    return min(sum(((u[np.array(lab) == j] - u[np.array(lab) == j].mean(0)) ** 2).sum() for j in set(lab)) for lab in product(range(k), repeat=len(u)))
+
+
+def test_kmeans_finds_the_best_clusters_of_separated_rows():
+    rng = np.random.default_rng(4)
+    for k in (2, 3):
+        u = np.repeat(rng.normal(0, 5, (k, 2)), 3, axis=0)[:7] + rng.normal(0, 0.1, (min(7, 3 * k), 2))
+        for init in ("even", "pp"):
+            lab = K.kmeans(u, k, init, seed=1)
+            cost = sum(((u[lab == j] - u[lab == j].mean(0)) ** 2).sum() for j in set(lab.tolist()))
+            assert cost == pytest.approx(brute_kmeans(u, k), abs=1e-9)
+
+
 def test_zero_eigenvalues_are_components(bands):
     for r in L.components(bands).collect():
         for form in ("plain", "sym"):
