@@ -172,6 +172,8 @@ def _decode_group(images: list[bytes], headers: list[Header], members: list[int]
         data, begin = _segments(np.frombuffer(images[i], np.uint8, h.data[1] - h.data[0], h.data[0]))
         mcus = across * -(-h.height // (8 * vmax))
         each = h.restart or mcus
+        if 2 * mcus * sum(a * b for a, b in sampling) > 8 * len(data):  # a block takes two bits at least
+            raise JpegError("fewer bits than blocks")
         if len(begin) != -(-mcus // each):
             raise JpegError("restart markers are missing")
         units.append(np.minimum(each, mcus - each * np.arange(len(begin))))
@@ -204,6 +206,8 @@ def _decode_group(images: list[bytes], headers: list[Header], members: list[int]
                         dc[base + t if whole else base[lanes] + t, b] = value
                     continue
                 hit = dc_code[ahead]
+                if not hit.all():
+                    raise JpegError("no such code")
                 p = p + (hit >> 8)
                 size = (hit & 255).astype(np.int64)
                 value = pred[c, lanes] + _signed(bits.peek(p, size), size)

@@ -18,7 +18,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from cutseg.llm.words import small_batches
+from cutseg.llm.words import small_batches, tidy
 
 _WORD = re.compile(r"\w+")
 
@@ -103,9 +103,25 @@ def tightest(words: list[tuple[int, str]], template: list) -> tuple[int, int, in
     return best[0], best[2], best[3]
 
 
+def densest(places: list[int], width: int) -> tuple[int, int]:
+    """The first of the ranges of rising places, at most ``width`` wide, that
+    hold most of them."""
+    best, low = (0, 0), 0
+    for high in range(len(places)):
+        while places[high] - places[low] >= width:
+            low += 1
+        if high + 1 - low > best[1] - best[0]:
+            best = low, high + 1
+    return best
+
+
 class Scanner:
-    """Aligns texts with templates; words that no template has are left out
-    first, which changes no alignment."""
+    """Aligns texts with templates.
+
+    Words that a template lacks are left out first.  A word can be unique then
+    that was not, so more may align than in the whole text; what counts is the
+    part of an alignment that stands within twice the template's length.
+    """
 
     def __init__(self, templates=TEMPLATES, coverage: float = COVERAGE):
         self.names = [n for n, _ in templates]
@@ -161,11 +177,11 @@ class Scanner:
             every += [(self.names[k], k, n / len(template), first, last) for n, first, last in runs]
             if len(places) <= best[2] * len(template):
                 continue  # it can't cover more than the best
-            pairs = align([kept[i] for i in places], template)
-            share = len(pairs) / len(template)
+            hits = [at[places[i]] for i, _ in align([kept[i] for i in places], template)]
+            low, high = densest(hits, 2 * len(template))
+            share = (high - low) / len(template)
             if share > best[2]:
-                hits = [at[places[i]] for i, _ in pairs]
-                best = (self.names[k] if share >= self.coverage else None, k, share, len(pairs), len(template), hits[0], hits[-1])
+                best = (self.names[k] if share >= self.coverage else None, k, share, high - low, len(template), hits[low], hits[high - 1])
             for n, first, last in runs:
                 if n / len(template) > best[2]:
                     best = (self.names[k], k, n / len(template), n, len(template), first, last)
@@ -194,7 +210,7 @@ def scan_licenses(docs: DataFrame, scanner: Scanner | None = None, id_col: str =
     """
     small_batches(docs.sparkSession)
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text"))
-    return rows.mapInArrow(_scan(scanner or Scanner()), _FOUND)
+    return rows.mapInArrow(tidy(_scan(scanner or Scanner())), _FOUND)
 
 
 def op8_license_patience(spark, sf_dir: str) -> DataFrame:

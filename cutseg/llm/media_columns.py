@@ -4,6 +4,7 @@ luminance thumbnails, and keep dimensions and hashes of the thumbnails."""
 from __future__ import annotations
 
 import hashlib
+import struct
 import zlib
 from collections.abc import Iterator
 
@@ -118,7 +119,7 @@ def _describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             try:
                 thumb, width, height, n = read_back([raw])[0] if raw else (None, None, None, 0)
                 rows.append((width, height, n, thumb.tobytes(), thumb.shape[1], average_hash(thumb), None) if n else (None, None, 0, None, None, None, "empty"))
-            except (jpeg.JpegError, IndexError, KeyError, ValueError) as e:
+            except (jpeg.JpegError, LookupError, ValueError, struct.error) as e:
                 rows.append((None, None, None, None, None, None, str(e) or type(e).__name__))
         columns = list(zip(*rows)) or [()] * 7
         kinds = (pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.int32(), pa.string(), pa.string())
@@ -129,6 +130,7 @@ def _describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def describe_images(media: DataFrame, id_col: str = "id", media_col: str = "media") -> DataFrame:
     """Dimensions, thumbnail and hash of any baseline JPEG column; what cannot
     be read gets null dimensions and says why in ``error``."""
+    small_batches(media.sparkSession)
     return media.select(media[id_col].cast("long").alias("id"), media[media_col].cast("binary").alias("media")).mapInArrow(_describe, _THUMBS)
 
 

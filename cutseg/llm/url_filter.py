@@ -16,29 +16,40 @@ BUCKETS = 1024
 #: Hash constants of a trigram: code points at 1, 31 and 961; a path's trigrams are shifted.
 STEP, PATH_SHIFT = 31, 517
 
-#: Labelled hosts and paths: 1 = block, 0 = allow.
-LABELLED_URLS = [
-    ("news.example-daily.net", "/world/2024/05/harvest-report", 0), ("blog.gardeners.net", "/spring/planting-guide", 0),
-    ("docs.library-project.net", "/manual/chapter-2.html", 0), ("www.museum-city.net", "/exhibits/bronze-age", 0),
-    ("school.riverside.net", "/courses/algebra/lesson-4", 0), ("wiki.openatlas.net", "/article/mountain-passes", 0),
-    ("recipes.homecook.net", "/soups/lentil.html", 0), ("journal.oceanlab.net", "/papers/tides-and-currents", 0),
-    ("forum.woodworkers.net", "/thread/12345-oak-joinery", 0), ("www.weatherarchive.net", "/stations/north/1998", 0),
-    ("history.townrecords.net", "/letters/1871/index.html", 0), ("science.readers.net", "/questions/why-sky-blue", 0),
-    ("podcast.linguistics.net", "/episodes/vowel-harmony", 0), ("help.sparse-tools.net", "/install/linux", 0),
-    ("m.travelnotes.net", "/fr/alpes/randonnee", 0), ("www.poemsonline.net", "/de/gedichte/herbst", 0),
-    ("magazine.astronomy.net", "/es/planetas/saturno", 0), ("data.cityplan.net", "/en/reports/water-supply", 0),
-    ("blog.teacherdesk.net", "/en/reading-list", 0), ("www.birdwatch.net", "/en/species/heron", 0),
-    ("win-casino-bonus.biz", "/free-spins/claim-now", 1), ("cheap-pills-online.biz", "/buy/viagra-discount", 1),
-    ("adult-xxx-cams.biz", "/live/hot-girls", 1), ("click-ads-tracker.biz", "/track?aff=1", 1),
-    ("free-crypto-giveaway.biz", "/double-your-coins", 1), ("payday-loan-fast.biz", "/apply/instant-cash", 1),
-    ("download-warez-crack.biz", "/keygen/full-version", 1), ("poker-bets-vip.biz", "/jackpot/register", 1),
-    ("hot-singles-chat.biz", "/adult/join-free", 1), ("replica-watches-sale.biz", "/cheap/rolex", 1),
-    ("spam-mailer-lists.biz", "/buy/leads", 1), ("xxx-tube-videos.biz", "/porn/free", 1),
-    ("weightloss-miracle.biz", "/pills/order-now", 1), ("casino-slots-win.biz", "/bonus/no-deposit", 1),
-    ("login-verify-account.biz", "/secure/update-password", 1), ("prize-winner-alert.biz", "/claim/gift-card", 1),
-    ("torrent-cracks.biz", "/warez/serials", 1), ("bet-odds-vip.biz", "/free-bets/claim", 1),
-    ("seo-backlinks-cheap.biz", "/buy/links", 1), ("ads.popunder-net.biz", "/click/redirect", 1),
+#: Hosts without their last label, and paths: to allow, and to block.
+ALLOWED = [
+    ("news.example-daily", "/world/2024/05/harvest-report"), ("blog.gardeners", "/spring/planting-guide"),
+    ("docs.library-project", "/manual/chapter-2.html"), ("www.museum-city", "/exhibits/bronze-age"),
+    ("school.riverside", "/courses/algebra/lesson-4"), ("wiki.openatlas", "/article/mountain-passes"),
+    ("recipes.homecook", "/soups/lentil.html"), ("journal.oceanlab", "/papers/tides-and-currents"),
+    ("forum.woodworkers", "/thread/12345-oak-joinery"), ("www.weatherarchive", "/stations/north/1998"),
+    ("history.townrecords", "/letters/1871/index.html"), ("science.readers", "/questions/why-sky-blue"),
+    ("podcast.linguistics", "/episodes/vowel-harmony"), ("help.sparse-tools", "/install/linux"),
+    ("m.travelnotes", "/fr/alpes/randonnee"), ("www.poemsonline", "/de/gedichte/herbst"),
+    ("magazine.astronomy", "/es/planetas/saturno"), ("data.cityplan", "/en/reports/water-supply"),
+    ("blog.teacherdesk", "/en/reading-list"), ("www.birdwatch", "/en/species/heron"),
+    ("m.cooking.example", "/en/123"), ("www.hiking-club", "/de/touren/alpen"),
+    ("garden-center", "/fr/roses"), ("library.north", "/es/libros/historia"),
+    ("city-news.example", "/en/456"), ("blog.carpentry", "/oak/table.html"),
 ]
+BLOCKED = [
+    ("win-casino-bonus", "/free-spins/claim-now"), ("cheap-pills-online", "/buy/viagra-discount"),
+    ("adult-xxx-cams", "/live/hot-girls"), ("click-ads-tracker", "/track?aff=1"),
+    ("free-crypto-giveaway", "/double-your-coins"), ("payday-loan-fast", "/apply/instant-cash"),
+    ("download-warez-crack", "/keygen/full-version"), ("poker-bets-vip", "/jackpot/register"),
+    ("hot-singles-chat", "/adult/join-free"), ("replica-watches-sale", "/cheap/rolex"),
+    ("spam-mailer-lists", "/buy/leads"), ("xxx-tube-videos", "/porn/free"),
+    ("weightloss-miracle", "/pills/order-now"), ("casino-slots-win", "/bonus/no-deposit"),
+    ("login-verify-account", "/secure/update-password"), ("prize-winner-alert", "/claim/gift-card"),
+    ("torrent-cracks", "/warez/serials"), ("bet-odds-vip", "/free-bets/claim"),
+    ("seo-backlinks-cheap", "/buy/links"), ("ads.popunder-net", "/click/redirect"),
+    ("m.casino-win.example", "/en/123"), ("free-bets.example", "/de/wetten"),
+    ("xxx-cams-live", "/fr/adult"), ("www.cheap-pills", "/es/viagra"),
+]
+#: Last labels, dealt in turn to hosts of both kinds, so that none tells the kind.
+LAST_LABELS = ("net", "biz", "info", "com", "org")
+#: host, path, 1 = block or 0 = allow
+LABELLED_URLS = [(f"{h}.{LAST_LABELS[i % len(LAST_LABELS)]}", p, y) for y, urls in ((0, ALLOWED), (1, BLOCKED)) for i, (h, p) in enumerate(urls)]
 
 #: (host, path, verdict); a rule fits its host, all subdomains, and paths that start with its path.
 RULES = [("org", "/", "allow"), ("example.org", "/es/", "block"), ("example.org", "/en/1", "block"), ("com", "/fr/", "allow"), ("com", "/de/", "block")]
