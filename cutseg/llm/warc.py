@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import gzip
 import io
+import zlib
 from collections.abc import Iterator
 
 import pandas as pd
@@ -106,10 +107,47 @@ def record_bytes(record_id: int, url: str, ts: int, kind: str, headers: dict, bo
     return head.encode() + block + b"\r\n\r\n"
 
 
+def _inflated(raw: bytes) -> bytes:
+    """The bytes of all gzip members, as far as they are whole; plain bytes as they are."""
+    out, rest = [], raw
+    while rest[:2] == b"\x1f\x8b":
+        member = zlib.decompressobj(31)
+        try:
+            out.append(member.decompress(rest))
+        except zlib.error:
+            break
+        if not member.eof:
+            break
+        rest = member.unused_data
+    return b"".join(out) if raw[:2] == b"\x1f\x8b" else raw
+
+
+def _text(head: bytes) -> str:
+    try:
+        return head.decode()
+    except UnicodeDecodeError:
+        return head.decode("latin-1")
+
+
+def _seconds(date: str | None) -> int | None:
+    when = pd.to_datetime(date, errors="coerce", utc=True) if date else pd.NaT
+    return None if when is pd.NaT else int(when.timestamp())
+
+
+def _kind(kind: str | None, status: list[str], profile: str) -> str | None:
+    full = len(status) < 2 or status[1] == "200"
+    if kind == "response" and not full or kind == "revisit" and profile and not profile.endswith("server-not-modified"):
+        return "other"
+    return kind
+
+
 def parse_warc(raw: bytes) -> Iterator[dict]:
     """Records of a WARC file, gzip members or plain; reading stops at the
-    first record that is cut short."""
-    data = io.BytesIO(gzip.decompress(raw) if raw[:2] == b"\x1f\x8b" else raw)
+    first record that is cut short or has no valid length.  A record without a
+    valid date has a null ``ts``.  Answers other than 200 are of kind
+    ``other``, and so are revisits that do not say "not modified": neither is a
+    full response or a claim about validators."""
+    data = io.BytesIO(_inflated(raw))
     while line := data.readline():
         if not line.startswith(b"WARC/"):
             continue
@@ -117,15 +155,16 @@ def parse_warc(raw: bytes) -> Iterator[dict]:
         while (line := data.readline().strip()):
             k, _, v = line.decode("utf-8", "replace").partition(":")
             fields[k.strip().lower()] = v.strip()
-        size = int(fields.get("content-length", 0))
-        block = data.read(size)
-        if len(block) < size:
+        size = fields.get("content-length", "0")
+        block = data.read(int(size)) if size.isascii() and size.isdigit() else None
+        if block is None or len(block) < int(size):
             return
         head, _, body = block.partition(b"\r\n\r\n")
-        pairs = (x.partition(":") for x in head.decode("latin-1").split("\r\n")[1:])
+        first, *lines = _text(head).split("\r\n")
+        pairs = (x.partition(":") for x in lines)
         number = fields.get("warc-record-id", "").strip("<>").rpartition(":")[2]
-        yield {"record_id": int(number) if number.isdigit() else None, "url": fields.get("warc-target-uri"), "ts": int(pd.Timestamp(fields["warc-date"]).timestamp()),
-               "kind": fields.get("warc-type"), "headers": {k.strip().lower(): v.strip() for k, _, v in pairs if k}, "body": body}
+        yield {"record_id": int(number) if number.isdigit() else None, "url": fields.get("warc-target-uri"), "ts": _seconds(fields.get("warc-date")),
+               "kind": _kind(fields.get("warc-type"), first.split(" "), fields.get("warc-profile", "")), "headers": {k.strip().lower(): v.strip() for k, _, v in pairs if k}, "body": body}
 
 
 def read_warc(spark, path: str) -> DataFrame:
@@ -133,7 +172,8 @@ def read_warc(spark, path: str) -> DataFrame:
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
             for raw in frame["content"]:
-                yield pd.DataFrame(list(parse_warc(bytes(raw))), columns=["record_id", "url", "ts", "kind", "headers", "body"])
+                rows = pd.DataFrame(list(parse_warc(bytes(raw))), columns=["record_id", "url", "ts", "kind", "headers", "body"])
+                yield rows.astype({"record_id": "Int64", "ts": "Int64"})
     return spark.read.format("binaryFile").load(path).select("content").mapInPandas(run, RECORDS)
 
 

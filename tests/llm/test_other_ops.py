@@ -214,3 +214,65 @@ def test_pipeline_stages_take_odd_rows(spark, sf_dir):
     for docs in (odd, odd.where("false")):
         for _, stage in C.STAGES:
             stage(spark, docs, sf_dir).count()
+
+
+# --- brute force: draws, prefixes, odd WARC bytes ---------------------------------
+
+
+def spark_hash(*values, seed=42):
+    """Spark's xxhash64 of longs, (value, 4)-tuples for ints, and strings."""
+    import xxhash
+    for v in values:
+        raw = v.encode() if isinstance(v, str) else v[0].to_bytes(4, "little", signed=True) if isinstance(v, tuple) else v.to_bytes(8, "little", signed=True)
+        seed = xxhash.xxh64_intdigest(raw, seed)
+    return seed
+
+
+def test_shard_draws_by_hand(spark):
+    import math
+    from cutseg.llm import hash_tree as H
+    tree = H.Branch("root", (H.Branch("a", (H.Branch("a/x", (H.Leaf(0), H.Leaf(1, 2.0))), H.Branch("a/y", (H.Leaf(2, 0.5),)))), H.Branch("b", (H.Branch("b/x", (H.Leaf(3), H.Leaf(4, 0.0))),))))
+
+    def descend(key):
+        node, level = tree, 0
+        while isinstance(node, H.Branch):
+            live = [c for c in node.children if c.mass() > 0]
+            draws = [(math.log(((spark_hash(key, f"{level}:{c.shard if isinstance(c, H.Leaf) else c.name}") >> 11) + 0.5) / 2.0**53) / c.mass(), i) for i, c in enumerate(live)]
+            node, level = live[max(draws)[1]], level + 1
+        return node.shard
+    got = {r["id"]: r["shard"] for r in H.place(spark.range(2000), F.col("id"), tree, "shard").collect()}
+    assert got == {i: descend(i) for i in range(2000)} and set(got.values()) == {0, 1, 2, 3}
+
+
+def test_mixture_rows_by_hand(spark):
+    rng = random.Random(8)
+    rows = [(i, " ".join("w" * rng.randint(1, 3) for _ in range(rng.randint(0, 40))), rng.choice(["en", "fr"]), rng.choice(["src1", "src2", "src12"])) for i in range(300)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    mix = X.Mixture(docs, X.production_paths(docs), X.PRODUCTION_WEIGHTS, share=1.0, epochs=3, seed=5)
+    want, leaves = [], {}
+    for i, text, lang, source in rows:
+        leaves.setdefault(("core" if len(source) == 4 else "tail", lang, source), []).append((i, len(text.split())))
+    for path, own in leaves.items():
+        total = sum(n for _, n in own)
+        whole, rest = divmod(mix.budgets[path], total)
+        want += [(i, *path, e, n, n) for e in range(whole) for i, n in own]
+        for _, i, n in sorted((spark_hash((5, 4), whole, i) >> 1, i, n) for i, n in own):
+            if rest <= 0:
+                break
+            want.append((i, *path, whole, n, min(n, rest)))
+            rest -= n
+    assert sorted(map(tuple, mix.selected.collect())) == sorted(want)
+
+
+def test_odd_warc_bytes():
+    import gzip
+    good = warc.record_bytes(1, "http://a/", 1_700_000_000, "response", {"X": "é"}, b"body")
+    assert [r["headers"] for r in warc.parse_warc(good)] == [{"x": "é"}]
+    undated = good.replace(b"WARC-Date", b"X-Date")
+    assert [r["ts"] for r in warc.parse_warc(undated + good)] == [None, 1_700_000_000]
+    assert list(warc.parse_warc(good.replace(b"Content-Length: ", b"Content-Length: x"))) == []
+    assert [r["kind"] for r in warc.parse_warc(good.replace(b"200 OK", b"404 No"))] == ["other"]
+    revisit = warc.record_bytes(2, "http://a/", 1, "revisit", {}, b"")
+    assert [r["kind"] for r in warc.parse_warc(revisit + revisit.replace(b"server-not-modified", b"identical-payload-digest"))] == ["revisit", "other"]
+    members = gzip.compress(good) + gzip.compress(good)
+    assert len(list(warc.parse_warc(members))) == 2 and len(list(warc.parse_warc(members[:-20]))) == 1 and list(warc.parse_warc(b"")) == []
