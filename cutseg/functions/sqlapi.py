@@ -2,28 +2,33 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import pandas as pd
-from pyspark.sql import SparkSession, functions as F
+from pyspark.sql import DataFrame, SparkSession, functions as F
 from pyspark.sql.functions import pandas_udf, udtf
 
 from cutseg.operators.corpus import NgramModel
-from cutseg.operators.segment import SegmentConfig, _collected, _Weights, split_sentences
+from cutseg.operators.segment import SegmentConfig, _collected, by_language, split_sentences
 
 
-def _segmenter(model: NgramModel, cfg: SegmentConfig):
-    shared = model.bi.sparkSession.sparkContext.broadcast(_collected(model, cfg, None, None, None))
+def _segmenter(model: NgramModel, cfg: SegmentConfig, lists: dict):
+    shared = model.bi.sparkSession.sparkContext.broadcast(_collected(model, cfg, lists.get("sets"), lists.get("words"), lists.get("singles")))
+    held: list = []  # the weights of this worker's languages
 
     def words(lang: str, s: str, cut=None) -> list[str]:
-        from dataclasses import replace
-        own = cfg if cut is None else replace(cfg, cut=float(cut))
-        return split_sentences([(s, *_Weights(own, shared.value.get(lang, {"bi": {}, "tri": {}})).bands(s))], own)[0][2] if s else []
+        if not held:
+            held.append(by_language(cfg, shared))
+        own = cfg if cut is None else replace(cfg, cut=float(cut))  # the cut is no part of the weights
+        return split_sentences([(s, *held[0](lang).bands(s))], own)[0][2] if s else []
     return words
 
 
-def register(spark: SparkSession, model: NgramModel, cfg: SegmentConfig) -> None:
+def register(spark: SparkSession, model: NgramModel, cfg: SegmentConfig, **lists: DataFrame) -> None:
     """``segment_udf(lang, s)`` gives an array of words; ``segment_words(lang, s,
-    cut)`` gives rows ``w_no, start, end, word``."""
-    words = _segmenter(model, cfg)
+    cut)`` gives rows ``w_no, start, end, word``.  ``lists``: sets, words and
+    singles as in ``segment``."""
+    words = _segmenter(model, cfg, lists)
 
     @pandas_udf("array<string>")
     def segment_udf(lang: pd.Series, s: pd.Series) -> pd.Series:

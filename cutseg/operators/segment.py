@@ -194,6 +194,17 @@ def split_sentences(rows: list[tuple[str, np.ndarray, np.ndarray]], cfg: Segment
     return out
 
 
+def by_language(cfg: SegmentConfig, shared):
+    """Weights of a language, made when it is first asked for."""
+    held: dict = {}
+
+    def weights(lang) -> _Weights:
+        if lang not in held:
+            held[lang] = _Weights(cfg, shared.value.get(lang, {"bi": {}, "tri": {}}))
+        return held[lang]
+    return weights
+
+
 def _collected(model: NgramModel, cfg: SegmentConfig, sets, words, singles) -> dict:
     """The model as dictionaries by language; sizes were checked."""
     out: dict = {}
@@ -269,14 +280,9 @@ def segment(sents: DataFrame, model: NgramModel, cfg: SegmentConfig, *, sets: Da
         shared = spark.sparkContext.broadcast(_collected(model, cfg, sets, words, singles))
 
         def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            weights: dict = {}
-            empty = {"bi": {}, "tri": {}}
+            weights = by_language(cfg, shared)
             for f in frames:
-                rows = []
-                for lang, s in zip(f["lang"], f["s"]):
-                    if lang not in weights:
-                        weights[lang] = _Weights(cfg, shared.value.get(lang, empty))
-                    rows.append((s, *weights[lang].bands(s)))
+                rows = [(s, *weights(lang).bands(s)) for lang, s in zip(f["lang"], f["s"])]
                 k, forced, words_ = zip(*split_sentences(rows, cfg)) if rows else ((), (), ())
                 yield pd.DataFrame({"lang": f["lang"], "s": f["s"], "k": list(k), "forced": list(forced), "words": list(words_)})
 

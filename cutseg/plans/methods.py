@@ -386,6 +386,14 @@ def _difference(x) -> DataFrame:
     return M.difference_table(predictions(x, "trained_dev", x.benchmark), predictions(x, "lexicon_dev", x.benchmark), M.gold(x.benchmark))
 
 
+@query("post_dates")
+def _dates(x) -> DataFrame:
+    """Numbers and dates with marks inside that post-processing kept whole in the
+    output of the method with training words."""
+    words = predictions(x, "trained").select("lang", F.explode("words").alias("word"))
+    return words.where(F.col("word").rlike("^[0-9]+[.,/:-][0-9]")).groupBy("lang", "word").agg(F.count("*").alias("n"))
+
+
 @query("post_numbers")
 def _post(x) -> DataFrame:
     """Digits and date marks of gold words put back together."""

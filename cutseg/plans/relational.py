@@ -17,6 +17,12 @@ from cutseg.streaming import streams
 query("scan_documents", "select doc_id, lang, source, n_chars from documents where lang in ('de', 'fr') and n_chars between 500 and 2000")(
     lambda x: x.table("documents").where(F.col("lang").isin("de", "fr") & F.col("n_chars").between(500, 2000)).select("doc_id", "lang", "source", "n_chars"))
 query("filter_usable", sql("select lang, g, cnt from bi_g where regexp_matches(g, '^\\p{L}+$')", "bi_g"))(lambda x: x.grams[2].where(F.col("g").rlike("^\\p{L}+$")))
+query("filter_lang", sql("select sent_id, lang, s from test where lang <> 'en' and length(s) >= 20", "test"))(
+    lambda x: x.test.where((F.col("lang") != "en") & (F.length("s") >= 20)).select("sent_id", "lang", "s"))
+query("join_session_interval", """with s as (select user_id, min(epoch_us(ts)) as a, max(epoch_us(ts)) as b from (select *, sum(new) over (partition by user_id order by ts, event_id) as g from
+  (select *, case when epoch_us(ts) - lag(epoch_us(ts)) over (partition by user_id order by ts, event_id) < 43200000000 then 0 else 1 end as new from events)) group by user_id, g)
+select s.user_id, s.a as start_us, count(*) as n, count(*) filter (event_type = 'purchase') as purchases from events e join s on e.user_id = s.user_id and epoch_us(e.ts) between s.a and s.b group by s.user_id, s.a""")(
+    lambda x: _events_in_sessions(x))
 query("join_bigram_broadcast", sql("select w.lang, count(*) as hits, round(sum(b.z), 4) as z from win w join bi b on b.lang = w.lang and b.a = w.a and b.b = w.b group by w.lang", "win", "bi"))(
     lambda x: A.windows(x.test).join(F.broadcast(x.model.bi.select("lang", "a", "b", "z")), ["lang", "a", "b"]).groupBy("lang").agg(F.count("*").alias("hits"), F.round(F.sum("z"), 4).alias("z")))
 query("join_trigram_merge", sql("select w.lang, count(*) as hits, round(sum(t.z), 4) as z from win w join tri t on t.lang = w.lang and t.a = w.a and t.b = w.b and t.c = w.x group by w.lang", "win", "tri"))(
@@ -32,6 +38,17 @@ query("join_span_overlap", sql(f"+{_SPANS} select p.lang, count(*) as overlaps f
     lambda x: _span_rows(predictions(x, "threshold")).alias("p").join(_span_rows(M.gold(x.test)).alias("g"), F.expr("p.sent_id = g.sent_id and p.a < g.e and g.a < p.e")).groupBy("p.lang").agg(F.count("*").alias("overlaps")))
 query("join_span_range", sql(f"+{_SPANS} select p.lang, count(*) as contained from pred p join gold g on g.sent_id = p.sent_id and p.a >= g.a and p.e <= g.e group by p.lang", "test", "edges", "gold"))(
     lambda x: _span_rows(predictions(x, "threshold")).alias("p").join(_span_rows(M.gold(x.test)).alias("g"), F.expr("p.sent_id = g.sent_id and p.a >= g.a and p.e <= g.e")).groupBy("p.lang").agg(F.count("*").alias("contained")))
+def _events_in_sessions(x) -> DataFrame:
+    """Events inside each session of their user: sides meet by the user, the
+    interval is a condition inside."""
+    us = lambda c: F.unix_micros(F.col(c).cast("timestamp"))
+    # a session window ends its gap of 12 hours after its last event
+    s = streams.sessions(x.table("events")).select(F.col("user_id").alias("u"), us("start").alias("a"), (us("end") - 43_200_000_000).alias("b"))
+    e = x.table("events").select("user_id", "event_type", us("ts").alias("t"))
+    inside = e.join(s, (F.col("user_id") == F.col("u")) & F.col("t").between(F.col("a"), F.col("b")))
+    return inside.groupBy("user_id", F.col("a").alias("start_us")).agg(F.count("*").alias("n"), F.count_if(F.col("event_type") == "purchase").alias("purchases"))
+
+
 query("semi_labelled", "select d.doc_id, d.lang from documents d where exists (select 1 from labels l where l.doc_id = d.doc_id and l.quality = 1)")(
     lambda x: x.table("documents").join(x.table("labels").where("quality = 1"), "doc_id", "left_semi").select("doc_id", "lang"))
 query("anti_contaminated", sql("select doc_id from train_docs", "train_docs"))(lambda x: tables.corpus(x.spark, x.dir, "train").select("doc_id"))
@@ -155,7 +172,7 @@ query("win_session", """select user_id, min(epoch_us(ts)) as start_us, count(*)
 def _stream_segment(x) -> DataFrame:
     docs = x.ws.table(x.documents.repartition(4), "stream-docs")
     stream = streams.document_stream(x.spark, docs.inputFiles()[0].rsplit("/", 1)[0])
-    out = streams.run_to_end(streams.segment_stream(stream, x.model, S.DOMAIN_SCALE), "segment")
+    out = streams.run_to_end(streams.segment_stream(stream, x.model, S.DOMAIN_SCALE, sets=x.sets), "segment")
     return out.select("sent_id", "lang", "k", F.array_join("words", " ").alias("words"))
 
 
@@ -183,6 +200,17 @@ def _stream_windows(x) -> DataFrame:
     return out.select(F.unix_micros("start").alias("start_us"), "event_type", "n")
 
 
+@query("stream_late", """with h as (select time_bucket(interval 1 hour, ts, timestamp '1970-01-01') as b, event_type from events), top as (select max(ts) as m from events)
+select epoch_us(b) as start_us, event_type, count(*) as n from h, top where b + interval 1 hour <= m - interval 2 hour group by all""")
+def _stream_late(x) -> DataFrame:
+    """Hourly counts in append mode: a window comes out once the watermark, two
+    hours behind the latest event, has passed its end."""
+    e = x.ws.table(x.table("events").withColumn("ts", F.col("ts").cast("timestamp")).repartition(1), "stream-late-events")
+    stream = x.spark.readStream.schema(e.schema).parquet(e.inputFiles()[0].rsplit("/", 1)[0])
+    out = streams.run_to_end(streams.windowed_counts(stream, "1 hour", late="2 hours"), "late")
+    return out.select(F.unix_micros("start").alias("start_us"), "event_type", "n")
+
+
 @query("udf_segment")
 def _udf(x) -> DataFrame:
     sqlapi.register(x.spark, x.part_model, S.DOMAIN_SCALE)

@@ -1,8 +1,8 @@
 """Shared scratch tables: the only place where a plan's lineage is cut.
 
 Tables are Parquet files in the folder that the session names in
-``spark.checkpoint.dir``, which all executors see; only when the setting is
-absent (tests, laptops) a folder of the driver is used.
+``spark.checkpoint.dir``, which all executors see; a folder of the driver is
+used only where the setting is absent and all runs in one process.
 """
 
 from __future__ import annotations
@@ -29,7 +29,11 @@ class Workspace:
     and, once written, survives the loss of any executor."""
 
     def __init__(self, spark: SparkSession, label: str):
-        root = spark.conf.get("spark.checkpoint.dir", None) or _own_root()
+        root = spark.conf.get("spark.checkpoint.dir", None)
+        if not root:
+            if not spark.sparkContext.master.startswith("local["):
+                raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+            root = _own_root()
         self.spark = spark
         self.root = f"{root.rstrip('/')}/{label}-{uuid.uuid4().hex}"
 

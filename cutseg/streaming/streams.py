@@ -8,17 +8,19 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from cutseg.functions import units
 from cutseg.operators.corpus import NgramModel, ngram_counts
-from cutseg.operators.segment import SegmentConfig, _collected, _Weights, split_sentences
+from cutseg.operators.segment import SegmentConfig, _collected, by_language, split_sentences
 from cutseg.plans.workspace import Workspace
 
 
-def segment_stream(docs: DataFrame, model: NgramModel, cfg: SegmentConfig) -> DataFrame:
-    """Segment a stream of documents with a model that stays as it is."""
-    shared = docs.sparkSession.sparkContext.broadcast(_collected(model, cfg, None, None, None))
+def segment_stream(docs: DataFrame, model: NgramModel, cfg: SegmentConfig, *, sets: DataFrame | None = None, words: DataFrame | None = None, singles: DataFrame | None = None) -> DataFrame:
+    """Segment a stream of documents with a model, and sets or word lists, that
+    stay as they are."""
+    shared = docs.sparkSession.sparkContext.broadcast(_collected(model, cfg, sets, words, singles))
 
     def run(frames):
+        weights = by_language(cfg, shared)
         for f in frames:
-            rows = [(s, *_Weights(cfg, shared.value.get(lang, {"bi": {}, "tri": {}})).bands(s)) for lang, s in zip(f["lang"], f["s"])]
+            rows = [(s, *weights(lang).bands(s)) for lang, s in zip(f["lang"], f["s"])]
             done = split_sentences(rows, cfg)
             yield pd.DataFrame({"sent_id": f["sent_id"], "lang": f["lang"], "k": [k for k, _, _ in done], "words": [w for _, _, w in done]})
 
