@@ -7,11 +7,13 @@ import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
 from cutseg.functions import kernels as K
+from cutseg.operators import block_spectrum
 from cutseg.operators.components import connected_components
 from cutseg.plans.workspace import Workspace
 
-#: Components with more vertices are not decomposed densely: they stay whole and are flagged.
-MAX_VERTICES = 2000
+#: Components of up to this many vertices are decomposed as dense matrices, one
+#: in a task; larger ones as edge tables over all tasks.
+DENSE_VERTICES = 2000
 
 
 def knn_edges(vectors: DataFrame, k: int = 8, block: int = 512) -> DataFrame:
@@ -40,18 +42,22 @@ def knn_edges(vectors: DataFrame, k: int = 8, block: int = 512) -> DataFrame:
     return both.groupBy("src", "dst").agg(F.max("w").alias("w")).where("src < dst")
 
 
-def partition_graph(edges: DataFrame, *, form: str = "sym", cut: float = 0.3, k: int | None = None, seed: int = 0, weakest: float = 0.0) -> DataFrame:
+def partition_graph(edges: DataFrame, *, form: str = "sym", cut: float = 0.3, k: int | None = None, seed: int = 0, weakest: float = 0.0, dense: int = DENSE_VERTICES) -> DataFrame:
     """``node, component, cluster``: clusters inside each connected component of
     the edges heavier than ``weakest``.
 
-    The number of clusters is that of eigenvalues within the cut, or ``k``.
+    The number of clusters is that of eigenvalues within the cut, or ``k``.  Of an
+    edge given repeatedly, or both ways, the largest weight counts; loops and null
+    weights are ignored.  Components over ``dense`` vertices are taken one after
+    another, each by all tasks.
     """
     ws = Workspace(edges.sparkSession, "graph")
-    kept = ws.table(edges.where(F.col("w") > weakest).select("src", "dst", "w"), "edges")
+    once = edges.where((F.col("w") > weakest) & (F.col("src") != F.col("dst"))).groupBy(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).agg(F.max("w").alias("w"))
+    kept = ws.table(once, "edges")
     comp = connected_components(kept.select("src", "dst"), ws)
-    sized = comp.join(comp.groupBy("component").agg(F.count("*").alias("n")), "component")
-    small, large = sized.where(F.col("n") <= MAX_VERTICES), sized.where(F.col("n") > MAX_VERTICES)
-    own = kept.join(small.select(F.col("node").alias("src"), "component"), "src")
+    sized = ws.table(comp.join(comp.groupBy("component").agg(F.count("*").alias("n")), "component"), "sized")
+    named = kept.join(sized.withColumnRenamed("node", "src"), "src")
+    own = named.where(F.col("n") <= dense)
 
     def run(f: pd.DataFrame) -> pd.DataFrame:
         nodes = np.unique(np.concatenate((f["src"], f["dst"])))
@@ -68,8 +74,12 @@ def partition_graph(edges: DataFrame, *, form: str = "sym", cut: float = 0.3, k:
         labels = K.kmeans(u, m, "pp", seed) if m > 1 else np.zeros(len(nodes), int)
         return pd.DataFrame({"node": nodes, "component": int(f["component"].iloc[0]), "cluster": labels})
 
-    found = own.groupBy("component").applyInPandas(run, "node long, component long, cluster int")  # a group has at most MAX_VERTICES vertices
-    return found.unionByName(large.select("node", "component", F.lit(None).cast("int").alias("cluster")))
+    found = own.groupBy("component").applyInPandas(run, "node long, component long, cluster int")  # a group has at most `dense` vertices
+    for row in sized.where(F.col("n") > dense).select("component").distinct().toLocalIterator():
+        c = row["component"]
+        part = block_spectrum.clusters(named.where(F.col("component") == c), ws, f"component-{c}", form, cut, k, seed)
+        found = found.union(part.select("node", F.lit(c).cast("long"), F.col("cluster").cast("int")))
+    return found
 
 
 def agreement(clusters: DataFrame, truth: DataFrame) -> DataFrame:

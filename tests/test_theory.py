@@ -142,3 +142,46 @@ def test_graph_partition_finds_planted_groups(spark):
     found = G.partition_graph(G.knn_edges(v, 6, block=20), form="sym", cut=0.05)
     score = G.agreement(found, v.select(F.col("vec_id").alias("node"), "label")).first()
     assert score["purity"] == pytest.approx(1.0)
+
+
+def planted(groups, size, seed, links=8, across=3):
+    """A connected graph of dense groups with few edges between them."""
+    rng = np.random.default_rng(seed)
+    edges = {}
+    for g in range(groups):
+        for i in range(size):
+            for j in {(i + 1) % size, *rng.integers(0, size, links).tolist()} - {i}:
+                edges[tuple(sorted((g * size + i, g * size + j)))] = float(1 + rng.random())
+        for _ in range(across):
+            a, b = rng.integers(0, size, 2)
+            edges[tuple(sorted((g * size + int(a), (g + 1) % groups * size + int(b))))] = 0.5
+    return [(a, b, w) for (a, b), w in edges.items()]
+
+
+def laplacian_values(rows, n, form):
+    w = np.zeros((n, n))
+    for a, b, x in rows:
+        w[a, b] = w[b, a] = x
+    d = w.sum(1)
+    return np.linalg.eigvalsh(np.diag(d) - w if form == "plain" else np.eye(n) - w / np.sqrt(d[:, None] * d[None]))
+
+
+@pytest.mark.parametrize("form, cut", [("sym", 0.1), ("plain", 0.8)])
+def test_block_spectrum_equals_the_dense_one(spark, form, cut):
+    rows = planted(3, 40, 1)
+    edges = spark.createDataFrame(rows + rows[:5] + [(b, a, w / 2) for a, b, w in rows[5:9]] + [(7, 7, 9.0)], "src long, dst long, w double")
+    small = G.partition_graph(edges, form=form, cut=cut)
+    large = G.partition_graph(edges, form=form, cut=cut, dense=50)
+    count = int((laplacian_values(rows, 120, form) <= cut).sum())
+    assert count > 1 and large.select("cluster").distinct().count() == small.select("cluster").distinct().count() == count
+    pairs = small.select("node", F.col("cluster").alias("s")).join(large, "node").select("s", "cluster").distinct().count()
+    assert pairs == count and large.count() == 120
+
+
+def test_large_components_are_partitioned(spark):
+    rows = planted(4, 600, 2)
+    edges = spark.createDataFrame(rows, "src long, dst long, w double")
+    found = G.partition_graph(edges, form="sym", cut=0.1).toPandas()
+    assert len(found) == 2400 > G.DENSE_VERTICES and found["component"].unique().tolist() == [0]
+    groups = found.groupby(found["node"] // 600)["cluster"].unique()
+    assert int((laplacian_values(rows, 2400, "sym") <= 0.1).sum()) == 4 == found["cluster"].nunique() and (groups.str.len() == 1).all()
