@@ -176,14 +176,8 @@ def _stream_segment(x) -> DataFrame:
     return out.select("sent_id", "lang", "k", F.array_join("words", " ").alias("words"))
 
 
-@query("stream_counts", sql("select lang, substr(s, i, 2) as g, count(*) as cnt from (select lang, s, unnest(range(1, length(s))) as i from all_sents where lang = 'es') group by all", "all_sents"))
+@query("stream_counts", sql("select lang, substr(s, i, 2) as g, count(*) as cnt from (select lang, s, unnest(range(1, length(s))) as i from all_sents) group by all", "all_sents"))
 def _stream_counts(x) -> DataFrame:
-    """The rows of ``stream_counts_all`` that the twin names."""
-    return _stream_counts_all(x).where("lang = 'es'")
-
-
-@query("stream_counts_all", sql("select lang, substr(s, i, 2) as g, count(*) as cnt from (select lang, s, unnest(range(1, length(s))) as i from all_sents) group by all", "all_sents"))
-def _stream_counts_all(x) -> DataFrame:
     docs = x.ws.table(x.documents.repartition(3), "stream-count-docs")
     counts = streams.RunningCounts(x.spark)
     stream = streams.document_stream(x.spark, docs.inputFiles()[0].rsplit("/", 1)[0])

@@ -33,7 +33,7 @@ def test_twin(spark, con, sf_dir, name):
 
 
 def test_streams_read_all_documents(spark, con, sf_dir):
-    test_twin(spark, con, sf_dir, "stream_counts_all")
+    test_twin(spark, con, sf_dir, "stream_counts")
     found = {r["lang"] for r in QUERIES["stream_segment"](spark, sf_dir).select("lang").distinct().collect()}
     assert found == {r[0] for r in con.sql("select distinct lang from documents where text is not null").fetchall()} and len(found) > 1
 
