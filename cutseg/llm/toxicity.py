@@ -2,11 +2,12 @@
 
 Words are hashed to rows of an embedding table, of which rows that too few
 training documents hit share one fixed zero vector (else rare words would let
-the network learn documents by heart); filters of several widths slide over them, the largest response of each filter in the whole text feeds one
-logistic unit.  Labels are only learned from documents outside the held-out
-fifth.  The training sample is bounded (``per_class`` documents of each label,
-in the order of a hash of the id, and ``class_bytes`` of their texts); scoring
-covers all words of all texts.
+the network learn documents by heart); filters of several widths slide over them,
+the largest response of each filter in the whole text feeds one logistic unit.
+Labels are only learned from documents outside the held-out fifth, and from all
+of those: words are counted over all of them, they are dealt to shards that learn
+side by side from the same network, and the networks are averaged between rounds.
+Scoring covers all words of all texts.
 """
 
 from __future__ import annotations
@@ -22,10 +23,18 @@ import xxhash
 from pyspark.sql import Column, DataFrame, functions as F
 
 from cutseg.llm.words import small_batches, tidy
+from cutseg.operators import dense
+from cutseg.plans.workspace import Workspace
 
 _WORD = re.compile(r"[^\W\d_]+")
 WIDTHS = (1, 2, 3)
 ROWS = 1 << 20
+#: Size of the embedding: of the rows, as many as speak most for one of the labels.
+VOCABULARY = 1 << 15
+#: Rounds, and least epochs of each, where there is more than one shard.
+ROUNDS, EPOCHS = 3, 2
+#: Labelled documents that a broadcast side may hold.
+BROADCAST_LABELS = 2_000_000
 
 
 class _WordRows(dict):
@@ -113,15 +122,24 @@ def train(texts: list[np.ndarray], labels: np.ndarray, epochs: int | None = None
     """Adagrad on the logistic loss; classes weigh the same.  Rows that fewer
     than ``least_documents`` texts hit are not used.  Small samples are seen more
     often (8 to 60 epochs)."""
-    epochs = epochs or max(8, min(60, 20_000 // max(1, len(texts))))
+    epochs = epochs or epochs_of(len(texts))
     hits = np.zeros(ROWS, np.int64)
     for t in texts:
         hits[np.unique(t)] += 1
     m = TextCnn.fresh(np.flatnonzero(hits >= least_documents), **shape)
-    texts = [m.index[t] for t in texts]
+    return advance(m, [m.index[t] for t in texts], labels, float(labels.mean()), epochs, rate, seed)
+
+
+def epochs_of(n: int) -> int:
+    return max(8, min(60, 20_000 // max(1, n)))
+
+
+def advance(m: TextCnn, texts: list[np.ndarray], labels: np.ndarray, share: float, epochs: int, rate: float = 0.02, seed: int = 5) -> TextCnn:
+    """Train ``m`` further on texts as rows of its embedding; ``share`` of all
+    labels are 1."""
     rng, dim = np.random.default_rng(seed), m.embed.shape[1]
     n_f = len(m.shifts[0])
-    weight = np.where(labels == 1, 0.5 / max(labels.mean(), 1e-9), 0.5 / max(1 - labels.mean(), 1e-9))
+    weight = np.where(labels == 1, 0.5 / max(share, 1e-9), 0.5 / max(1 - share, 1e-9))
     seen = {"embed": np.full(m.embed.shape, 1e-3, np.float32), "out": np.full(m.out.shape, 1e-3), "bias": 1e-3,
             "kernels": [np.full(k.shape, 1e-3, np.float32) for k in m.kernels], "shifts": [np.full(n_f, 1e-3, np.float32) for _ in m.shifts]}
     for _ in range(epochs):
@@ -201,27 +219,51 @@ class ToxicityModel:
         self.net, self.common, self.by_lang = net, common, by_lang
 
     @classmethod
-    def fit(cls, docs: DataFrame, labels: DataFrame, *, per_class: int = 6000, class_bytes: int = 24 << 20, least_of_lang: int = 20, **shape) -> ToxicityModel:
-        """Learn from labelled documents outside the held-out fifth.
+    def fit(cls, docs: DataFrame, labels: DataFrame, *, shard: int = 6000, least_of_lang: int = 20, least_documents: int = 5, **shape) -> ToxicityModel:
+        """Learn from all labelled documents outside the held-out fifth, about
+        ``shard`` of them in a task.
 
-        At most ``per_class`` documents of each label, with at most
-        ``class_bytes`` of text together, go to the one task that learns (a
-        third of them to set the cuts); labels other than 0 and 1, and rows
-        without id or text, are not used.  Without both classes every score is 0.
+        A third of them (``turn`` 0) sets the cuts.  Labels other than 0 and 1, and
+        rows without id or text, are not used.  Without both classes every score
+        is 0.
         """
-        small_batches(docs.sparkSession)
+        spark, ws = docs.sparkSession, Workspace(docs.sparkSession, "toxicity")
+        small_batches(spark)
         known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).where("toxic in (0, 1)")
         known = known.where(~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
-        sizes = {r["toxic"]: r["count"] for r in known.groupBy("toxic").count().collect()}
-        # the smallest hashes of each label; text joins only these few rows
-        order = F.xxhash64("doc_id").alias("order")
-        zeros, ones = (known.where(F.col("toxic") == c).select("doc_id", "toxic", order).orderBy("order", "doc_id").limit(per_class) for c in (0, 1))
+        n = known.count()
+        shards = max(1, -(-n // shard))
+        known = F.broadcast(known) if n <= BROADCAST_LABELS else known
         texts = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"].cast("string").alias("text"), docs["lang"].cast("string").alias("lang"))
-        rows = texts.where("text is not null").join(F.broadcast(zeros.union(ones)), "doc_id").dropDuplicates(["doc_id"])
-        # one task learns, from a bounded sample; if its executor is lost, another learns the same
-        ordered = rows.select("doc_id", "toxic", "lang", "text", "order").repartition(1).sortWithinPartitions("order", "doc_id")
-        learned = ordered.mapInArrow(tidy(_learn(sizes, class_bytes, least_of_lang, shape)), "model binary").first()
-        return cls(*pickle.loads(learned["model"])) if learned else cls(None, 0.5, {})
+        rows = texts.where("text is not null").join(known, "doc_id").select("doc_id", "toxic", "lang", "text")
+        hashed = ws.table(rows.mapInArrow(tidy(_hashed), "doc_id long, toxic int, lang string, turn int, ids binary"), "hashed")
+        sizes = {(r["toxic"], r["part"]): r["n"] for r in hashed.groupBy("toxic", (F.col("turn") != 0).alias("part")).agg(F.countDistinct("doc_id").alias("n")).collect()}
+        if len({label for label, _ in sizes}) < 2:
+            return cls(None, 0.5, {})
+        ones, zeros = sizes.get((1, True), 0), sizes.get((0, True), 0)
+        fit = hashed.where("turn <> 0")
+        # documents of each label that hold a row: figures of a fixed number of rows
+        hits = [dense.collect_sums(fit.where(F.col("toxic") == label).select("ids").mapInArrow(_hits, dense.SCHEMA), ROWS).astype(float) for label in (0, 1)]
+        net = TextCnn.fresh(telling_rows(*hits, zeros, ones, least_documents), **shape)
+        shared = spark.sparkContext.broadcast(net)
+        indexed = ws.table(hashed.mapInArrow(_indexed(shared), hashed.schema), "indexed")
+        ws.drop("hashed")
+        dealt = indexed.where("turn <> 0").withColumns({"order": F.xxhash64("doc_id"), "shard": F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(shards))})
+        rounds, epochs = (1, epochs_of(ones + zeros)) if shards == 1 else (ROUNDS, max(EPOCHS, epochs_of((ones + zeros) // shards) // ROUNDS))
+        for turn in range(rounds if ones + zeros else 0):
+            grown = dealt.groupBy("shard").applyInArrow(_advance(spark.sparkContext.broadcast(net), ones / (ones + zeros), epochs, 5 + 1000 * turn), "shard long, model binary")
+            few = grown.withColumn("shard", F.col("shard") % -(-shards // 16)).groupBy("shard").applyInArrow(_added, "shard long, model binary")
+            net = averaged(net, [pickle.loads(r["model"]) for r in few.orderBy("shard").collect()])
+        scored = indexed.where("turn = 0").dropDuplicates(["doc_id"]).mapInArrow(_calibrate(spark.sparkContext.broadcast(net)), "lang string, toxic int, score double")
+        found = [(r["lang"], r["toxic"], r["score"], r["n"]) for r in scored.groupBy("lang", "toxic", "score").agg(F.count("*").alias("n")).collect()]
+
+        def cut_of(some: list) -> float | None:
+            times = [r[3] for r in some]
+            y, s = np.repeat([r[1] for r in some], times), np.repeat(np.array([r[2] for r in some], float), times)
+            return best_threshold(s, y) if len(y) and min(y.sum(), len(y) - y.sum()) >= least_of_lang else None
+        common = cut_of(sorted(found, key=lambda r: (r[2], r[1], str(r[0]))))
+        own = {lang: cut_of(sorted(r for r in found if r[0] == lang)) for lang in sorted({r[0] for r in found} - {None})}
+        return cls(net, 0.5 if common is None else common, {lang: cut for lang, cut in own.items() if cut is not None})
 
     def score(self, docs: DataFrame) -> DataFrame:
         """``doc_id, lang, score, predicted, threshold, rejected``.
@@ -274,42 +316,97 @@ def _scores(net: TextCnn, tables, rows: _WordRows, texts: list, shift: float) ->
     return sigmoid(np.array(hidden, float).reshape(len(hidden), len(net.out)) @ net.out.astype(float) + net.bias - shift)
 
 
-def _learn(sizes: dict[int, int], class_bytes: int, least_of_lang: int, shape: dict):
-    """Train on rows in the order in which they come, as far as their bytes go;
-    gives the pickled network, common cut and cuts by language."""
+def telling_rows(zeros: np.ndarray, ones: np.ndarray, n_zeros: int, n_ones: int, least_documents: int) -> np.ndarray:
+    """The rows that at least so many documents hit; of more than ``VOCABULARY``
+    those whose shares of the two labels differ most for their size."""
+    used = np.flatnonzero(zeros + ones >= least_documents)
+    if len(used) <= VOCABULARY:
+        return used
+    a, b, n, m = zeros[used], ones[used], max(1, n_zeros), max(1, n_ones)
+    p = (a + b) / (n + m)
+    z = np.abs(b / m - a / n) / np.sqrt(np.maximum(p * (1 - p), 1e-12) * (1 / n + 1 / m))
+    return np.sort(used[np.argsort(-z, kind="stable")[:VOCABULARY]])
+
+
+def _hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    rows = _WordRows(ROWS)
+    for batch in batches:
+        ids = [word_rows(t, rows).astype("<i4").tobytes() for t in batch.column(3).to_pylist()]
+        turn = [xxhash.xxh3_64_intdigest(str(i)) % 3 for i in batch.column(0).to_pylist()]
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(turn, pa.int32()), pa.array(ids, pa.binary())], ["doc_id", "toxic", "lang", "turn", "ids"])
+
+
+def _hits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    hits = np.zeros(ROWS, np.int64)
+    for batch in batches:
+        for x in batch.column(0).to_pylist():
+            hits[np.unique(np.frombuffer(x, "<i4"))] += 1
+    yield dense.emit(hits)
+
+
+def _indexed(shared):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows, x, y, langs, turn, left = _WordRows(ROWS), [], [], [], [], {0: class_bytes, 1: class_bytes}
+        index = shared.value.index
         for batch in batches:
-            for doc_id, toxic, lang, text in zip(*(batch.column(i).to_pylist() for i in range(4))):
-                left[toxic] -= len(text.encode())
-                if left[toxic] >= 0:
-                    x.append(word_rows(text, rows).astype(np.int32))
-                    y.append(toxic)
-                    langs.append(lang)
-                    turn.append(xxhash.xxh3_64_intdigest(str(doc_id)) % 3)
-        found = calibrated(x, np.array(y), langs, np.array(turn), sizes, least_of_lang, shape) if len(set(y)) == 2 else (None, 0.5, {})
-        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(found)], pa.binary())], ["model"])
+            ids = [index[np.frombuffer(x, "<i4")].astype("<i4").tobytes() for x in batch.column(4).to_pylist()]
+            yield batch.set_column(4, "ids", pa.array(ids, pa.binary()))
+    return run
+
+
+def _advance(shared, share: float, epochs: int, seed: int):
+    """Train the shared network on one shard, in the order of the ids' hashes."""
+    def run(t: pa.Table) -> pa.Table:
+        t = t.sort_by([("order", "ascending"), ("doc_id", "ascending")])
+        doc_ids = t.column("doc_id").to_pylist()
+        first = [i for i, d in enumerate(doc_ids) if not i or d != doc_ids[i - 1]]
+        ids, y = t.column("ids"), t.column("toxic").to_numpy()[first]
+        start = shared.value
+        m = pickle.loads(pickle.dumps(start))
+        advance(m, [np.frombuffer(ids[i].as_py(), "<i4") for i in first], y, share, epochs, seed=seed)
+        part = {"n": 1, "touched": (m.embed != start.embed).any(1).astype(np.int32), "embed": m.embed - start.embed,
+                "rest": [a - b for a, b in zip(_rest(m), _rest(start))]}
+        return pa.table({"shard": pa.array([t.column("shard")[0].as_py()], pa.int64()), "model": pa.array([pickle.dumps(part)], pa.binary())})
     return run
 
 
-def calibrated(x: list[np.ndarray], y: np.ndarray, langs: list, turn: np.ndarray, sizes: dict[int, int], least_of_lang: int, shape: dict) -> tuple[TextCnn, float, dict[str, float]]:
-    """A network from two thirds of the documents, and from the other third
-    (``turn`` 0) a common cut and one for each language with at least
-    ``least_of_lang`` documents of either label there."""
-    fit, cal = np.flatnonzero(turn != 0), np.flatnonzero(turn == 0)
-    net = train([x[i] for i in fit], y[fit], **shape)
-    tables = net.tables()
-    scores = np.zeros(len(x))
-    scores[cal] = sigmoid(np.array([pooled(net.index[x[i]], tables, net.shifts) @ net.out + net.bias for i in cal]))
-    enough = lambda k: len(k) and min(y[k].sum(), len(k) - y[k].sum()) >= least_of_lang
-    negative = max(1.0, sizes[0] / max(1, (y == 0).sum())) / max(1.0, sizes[1] / max(1, (y == 1).sum()))
-    common = best_threshold(scores[cal], y[cal], negative) if enough(cal) else 0.5
-    by_lang = {}
-    for lang in sorted(set(langs) - {None}):
-        own = cal[[langs[i] == lang for i in cal]]
-        if enough(own):
-            by_lang[lang] = best_threshold(scores[own], y[own], negative)
-    return net, common, by_lang
+def _rest(m: TextCnn) -> list[np.ndarray]:
+    return [*m.kernels, *m.shifts, m.out, np.float64(m.bias)]
+
+
+def _plus(a: dict | None, b: dict) -> dict:
+    return b if a is None else {"n": a["n"] + b["n"], "touched": a["touched"] + b["touched"], "embed": a["embed"] + b["embed"], "rest": [x + y for x, y in zip(a["rest"], b["rest"])]}
+
+
+def _added(t: pa.Table) -> pa.Table:
+    total = None
+    for model in sorted(t.column("model").to_pylist()):  # the same sum whatever came first
+        total = _plus(total, pickle.loads(model))
+    return pa.table({"shard": pa.array([t.column("shard")[0].as_py()], pa.int64()), "model": pa.array([pickle.dumps(total)], pa.binary())})
+
+
+def averaged(start: TextCnn, parts: list[dict]) -> TextCnn:
+    """The mean of the shards' networks; of an embedding, of those shards that
+    met its word."""
+    total, m = None, pickle.loads(pickle.dumps(start))
+    for p in parts:
+        total = _plus(total, p)
+    m.embed += total["embed"] / np.maximum(1, total["touched"])[:, None]
+    step = [x / total["n"] for x in total["rest"]]
+    w = len(m.kernels)
+    m.kernels, m.shifts = [k + s.astype(np.float32) for k, s in zip(m.kernels, step)], [k + s.astype(np.float32) for k, s in zip(m.shifts, step[w:])]
+    m.out, m.bias = m.out + step[2 * w].astype(np.float32), m.bias + float(step[2 * w + 1])
+    return m
+
+
+def _calibrate(shared):
+    """Scores of the rows that set the cuts, in steps of a ten-thousandth."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        net = shared.value
+        tables = net.tables()
+        for batch in batches:
+            hidden = [pooled(np.frombuffer(x, "<i4"), tables, net.shifts) @ net.out.astype(float) + net.bias for x in batch.column(4).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(2), batch.column(1), pa.array(np.round(sigmoid(np.array(hidden, float)), 4), pa.float64())], ["lang", "toxic", "score"])
+    return run
 
 
 def _score(shared, shift: float):
