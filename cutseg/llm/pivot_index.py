@@ -29,6 +29,9 @@ PIVOTS, NEAREST, SHARED = 1024, 10, 3
 SAMPLE, SPREAD = 4096, 0.8
 #: Vectors of a cell that one block holds.
 BLOCK = 512
+#: Sizes are guessed from packed files, far too low for rows that grow with the table:
+#: such joins are merged, so that nothing of them is collected on the driver.
+MERGED = "merge"
 _DESCRIBED = "vec_id long, label string, sig binary, near array<smallint>, home smallint"
 
 
@@ -130,9 +133,9 @@ class PivotIndex:
         pairs = ws.table(self._candidates(), "pairs")
         own = rows.select("vec_id", "v")
         ids = self.classes.select(F.col("rep").alias("vec_id"))
-        needed = own.join(ids, "vec_id", "left_semi").dropDuplicates(["vec_id"])
-        checked = (pairs.join(needed.select(F.col("vec_id").alias("a"), F.col("v").alias("va")), "a")
-                   .join(needed.select(F.col("vec_id").alias("b"), F.col("v").alias("vb")), "b").select("a", "b", "va", "vb"))
+        needed = own.join(ids.hint(MERGED), "vec_id", "left_semi").dropDuplicates(["vec_id"])
+        checked = (pairs.join(needed.select(F.col("vec_id").alias("a"), F.col("v").alias("va")).hint(MERGED), "a")
+                   .join(needed.select(F.col("vec_id").alias("b"), F.col("v").alias("vb")).hint(MERGED), "b").select("a", "b", "va", "vb"))
         #: Links between class representatives of different cells, with their cosine.
         self.links = ws.table(checked.mapInArrow(_verify(least), "a long, b long, cosine double"), "links")
         #: Links inside cells, as linked copies of a and the smallest b it reaches in its blocks.
@@ -166,7 +169,7 @@ class PivotIndex:
     def _cells(self, needed: DataFrame, least: float) -> DataFrame:
         """Each pair of blocks of a cell is one group, so no group grows with a cell."""
         cell = ["label", "home", "width"]
-        rows = self.classes.select("label", "home", "rep", "copies").join(needed.select(F.col("vec_id").alias("rep"), "v"), "rep").withColumn("width", F.size("v"))
+        rows = self.classes.select("label", "home", "rep", "copies").join(needed.select(F.col("vec_id").alias("rep"), "v").hint(MERGED), "rep").withColumn("width", F.size("v"))
         blocks = rows.groupBy(cell).agg(F.count("*").alias("size")).where("size > 1").withColumn("blocks", F.ceil(F.col("size") / BLOCK))
         dealt = (rows.join(F.broadcast(blocks), cell).withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")))
                  .withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))  # at most labels x PIVOTS x widths cells
@@ -186,16 +189,16 @@ class PivotIndex:
         # of all lists in which a pair meets, only the first gives it out
         first = F.element_at(both, 1).cast("int") * PIVOTS + F.element_at(both, 2)
         met = (F.col("x.label") == F.col("y.label")) & (F.col("x.key") == F.col("y.key")) & (F.col("x.home") < F.col("y.home"))
-        return x.join(y, met & enough & (F.col("x.key") == first)).select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"))
+        return x.join(y.hint(MERGED), met & enough & (F.col("x.key") == first)).select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"))
 
     def vectors(self) -> DataFrame:
         """``vec_id, n_links, component_id, kept``: one row per input row."""
         sizes = self.classes.select(F.col("rep").alias("b"), "copies")
         both = self.links.select("a", "b").union(self.links.select("b", "a"))
-        linked = both.join(sizes, "b").select("a", F.col("copies").alias("others")).union(self.cells.select("a", "others")).groupBy("a").agg(F.sum("others").alias("others"))
-        named = (self.classes.join(linked, F.col("rep") == F.col("a"), "left").join(self.component, F.col("rep") == F.col("node"), "left")
+        linked = both.join(sizes.hint(MERGED), "b").select("a", F.col("copies").alias("others")).union(self.cells.select("a", "others")).groupBy("a").agg(F.sum("others").alias("others"))
+        named = (self.classes.join(linked.hint(MERGED), F.col("rep") == F.col("a"), "left").join(self.component.hint(MERGED), F.col("rep") == F.col("node"), "left")
                  .select(F.col("label").alias("l"), F.col("sig").alias("s"), (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n"), F.coalesce("component", "rep").alias("c")))
-        out = self.described.join(named, (F.col("label") == F.col("l")) & (F.col("sig") == F.col("s")), "left")
+        out = self.described.join(named.hint(MERGED), (F.col("label") == F.col("l")) & (F.col("sig") == F.col("s")), "left")
         return out.select("vec_id", F.coalesce("n", F.lit(0)).cast("long").alias("n_links"), F.coalesce("c", "vec_id").alias("component_id")).withColumn(
             "kept", F.col("vec_id") == F.col("component_id"))
 

@@ -11,17 +11,24 @@ from pyspark.sql import DataFrame, functions as F
 
 from cutseg.plans.workspace import Workspace
 
+#: Edges that a join may collect on the driver; sizes guessed from packed files do not bound them.
+COLLECTED = 100_000
 
-def _larger_to_minimum(edges: DataFrame) -> DataFrame:
+
+def _merged(df: DataFrame, rows: int) -> DataFrame:
+    return df.hint("merge") if rows > COLLECTED else df
+
+
+def _larger_to_minimum(edges: DataFrame, rows: int) -> DataFrame:
     both = edges.union(edges.select("v", "u"))
     least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-    return both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+    return both.join(_merged(least, rows), "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
 
 
-def _smaller_to_minimum(edges: DataFrame) -> DataFrame:
+def _smaller_to_minimum(edges: DataFrame, rows: int) -> DataFrame:
     down = edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u <> v").distinct()
     least = down.groupBy("u").agg(F.min("v").alias("m"))
-    moved = down.join(least, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+    moved = down.join(_merged(least, rows), "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
     return moved.union(least.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
 
 
@@ -35,14 +42,14 @@ def connected_components(edges: DataFrame, workspace: Workspace, name: str = "co
     current = workspace.table(
         edges.select(F.col(edges.columns[0]).cast("long").alias("u"), F.col(edges.columns[1]).cast("long").alias("v"))
         .where("u <> v").distinct(), f"{name}-0")
-    mark = None
+    mark, rows = None, current.count()
     for turn in range(1, max_rounds + 1):
-        current = workspace.table(_smaller_to_minimum(_larger_to_minimum(current)), f"{name}-{turn}")
+        current = workspace.table(_smaller_to_minimum(_larger_to_minimum(current, rows), rows), f"{name}-{turn}")
         seen = current.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v"))).first()
         workspace.drop(f"{name}-{turn - 1}")
         if seen == mark or seen[0] == 0:
             break
-        mark = seen
+        mark, rows = seen, seen[0]
     else:
         raise RuntimeError(f"no fixed point after {max_rounds} rounds")
     return current.select(F.col("u").alias("node"), F.col("v").alias("component")).union(
